@@ -1,60 +1,22 @@
-"""What the operators share: table access, shared-storage tables, model shipping."""
+"""What the operators share: table access and text folding."""
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.storage import settle
+
+__all__ = ["ascii_lower", "held_out", "settle", "table"]
+
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 LOWER = UPPER.lower()
 
-_written: list[tuple[SparkSession, str]] = []
-
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; set here only where the session has none."""
-    found = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not found:
-        found = tempfile.mkdtemp(prefix="rareblock-shared-")
-        spark.sparkContext.setCheckpointDir(found)
-    return found.rstrip("/")
-
-
-def remove(spark: SparkSession, path: str) -> None:
-    jvm = spark.sparkContext._jvm
-    at = jvm.org.apache.hadoop.fs.Path(path)
-    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
-
-
-def _sweep() -> None:
-    for spark, path in _written:
-        try:
-            remove(spark, path)
-        except Exception:  # the session has ended before the interpreter
-            return
-
-
-atexit.register(_sweep)
-
-
-def settle(df: DataFrame, label: str = "step") -> DataFrame:
-    """Write df as Parquet into the shared folder and read it back: the lineage is cut, a lost executor
-    costs no recomputation, and later readers prune columns. The files go when the driver ends."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    _written.append((spark, path))
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def ascii_lower(text: Column) -> Column:
     """A-Z to a-z and nothing else, unlike lower(), which follows Unicode."""
     return F.translate(text, UPPER, LOWER)
