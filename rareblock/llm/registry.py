@@ -8,8 +8,8 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontamination, neardup, packing, pseudonyms, sharding
-from .common import table
+from . import decontamination, neardup, packing, pseudonyms, quality, sharding, toxicity
+from .common import held_out, settle, table
 
 #: Of the queries here; a user passes a secret of their own.
 PSEUDONYM_KEY = "rareblock demonstration key"
@@ -29,6 +29,20 @@ def op9_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "text", F.size("_private").cast("long").alias("n_private"), F.array_join(F.array_sort(F.array_distinct(F.col("_private.kind"))), ",").alias("kinds"))
 
 
+def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    labels = table(spark, sf_dir, "labels").filter(~held_out(F.col("doc_id"), 5, 0)).select("doc_id", F.col("toxic").alias("label"))
+    scored = toxicity.score(docs, toxicity.train(docs, labels))
+    return scored.select("doc_id", held_out(F.col("doc_id"), 5, 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), "worst_word")
+
+
+def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    features = settle(quality.feature_table(table(spark, sf_dir, "documents")), "features")
+    labels = table(spark, sf_dir, "labels").filter(~held_out(F.col("doc_id"), 5, 0)).select("doc_id", F.col("quality").alias("label"))
+    scored = quality.score(features, quality.train(features, labels))
+    return scored.select("doc_id", held_out(F.col("doc_id"), 5, 0).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
 def op8_byte_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_by_bytes(table(spark, sf_dir, "documents"), n_shards=8)
 
@@ -40,6 +54,8 @@ def op10_setsketch_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFram
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_best_fit_packing": op1_best_fit_packing,
     "op5_benchmark_decontamination": op5_benchmark_decontamination,
+    "op6_toxicity": op6_toxicity,
+    "op7_quality": op7_quality,
     "op8_byte_shards": op8_byte_shards,
     "op9_pseudonyms": op9_pseudonyms,
     "op10_setsketch_near_duplicates": op10_setsketch_near_duplicates,
