@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontamination, html_text, neardup, packing, pseudonyms, quality, sharding, spotsigs, toxicity
+from . import decontamination, html_text, language_model, neardup, packing, pseudonyms, quality, sharding, spotsigs, toxicity
 from .common import held_out, settle, table
 
 #: Of the queries here; a user passes a secret of their own.
@@ -19,6 +19,12 @@ def op1_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"), seq_len=2048, end_id=0)
 
 
+def op2_maxent_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    scored = language_model.score(docs, language_model.train(docs.filter(~held_out(F.col("doc_id"), 7, 2))))
+    return scored.withColumn("held_out", held_out(F.col("doc_id"), 7, 2))
+
+
 def op3_spotsigs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spotsigs.edited_fingerprints(table(spark, sf_dir, "documents"), parts=2 * int(spark.conf.get("spark.sql.shuffle.partitions")))
 
@@ -61,6 +67,7 @@ def op10_setsketch_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFram
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_best_fit_packing": op1_best_fit_packing,
+    "op2_maxent_scores": op2_maxent_scores,
     "op3_spotsigs": op3_spotsigs,
     "op4_tag_path_text": op4_tag_path_text,
     "op5_benchmark_decontamination": op5_benchmark_decontamination,
