@@ -290,3 +290,21 @@ def score(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str =
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(values, pa.float64()), pa.array(words, pa.string())], ["doc_id", "score", "worst_word"])
 
     return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, f"doc_id {docs.schema[id_col].dataType.simpleString()}, score double, worst_word string")
+
+
+def keep_clean(docs: DataFrame, model: dict, limit: float = 0.5, text_col: str = "text") -> DataFrame:
+    """The rows of docs, all columns, whose text scores below limit; null and blank texts stay."""
+    shipped, at = docs.sparkSession.sparkContext.broadcast(model), docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m = shipped.value
+        scorer = Scorer(m["table"], m["bias"])
+        for batch in batches:
+            for i in range(0, batch.num_rows, 500):
+                part = batch.slice(i, 500)
+                values = np.array([v for v, _ in scorer.worst([t or "" for t in part.column(at).to_pylist()])])
+                scores = np.full(len(values), m["constant"]) if m["constant"] is not None else 1 / (1 + np.exp(-np.clip(m["slope"] * values + m["offset"], -30, 30)))
+                blank = np.array([not (t or "").strip() for t in part.column(at).to_pylist()])
+                yield part.filter(pa.array(blank | (scores < limit)))
+
+    return docs.mapInArrow(run, docs.schema)
