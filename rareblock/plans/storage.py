@@ -45,3 +45,12 @@ def settle(df: DataFrame, label: str = "step") -> DataFrame:
     df.write.parquet(path)
     _written.append((spark, path))
     return spark.read.schema(df.schema).parquet(path)
+
+
+def settle_at(df: DataFrame, path: str) -> DataFrame:
+    """settle() at a path that the caller names; what a finished earlier run left there is read instead."""
+    spark = df.sparkSession
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{path}/_SUCCESS")
+    if not at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(at):
+        df.write.mode("overwrite").parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
