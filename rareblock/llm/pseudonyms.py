@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 # Formats of private data, sought in this order at each place.
 PATTERNS = {
-    "email": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}@[A-Za-z0-9-]{1,63}(?:\.[A-Za-z0-9-]{1,63}){1,8}",
+    "email": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+@[A-Za-z0-9-]{1,63}(?:\.[A-Za-z0-9-]{1,63}){1,8}",
     "access_key": r"(?<![A-Za-z0-9])(?:AKIA|ASIA)[0-9A-Z]{16}(?![A-Za-z0-9])",
     "secret": r"(?<![A-Za-z0-9])(?:[Pp]assword|[Pp]asswd|[Pp]wd|[Ss]ecret|[Tt]oken|[Aa]pi[_-]?[Kk]ey) {0,2}[=:] {0,2}[\"']?[A-Za-z0-9_+/-]{8,200}",
     "iban": r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])",
@@ -23,6 +23,8 @@ PATTERNS = {
     "ssn": r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])",
     "card": r"(?<![0-9])[0-9](?:[ -]?[0-9]){12,18}(?![0-9])",
 }
+#: A text without any of these characters holds no value of any format; most texts end here.
+HINT = "[0-9@=:]"
 ANY = "|".join(f"(?:{p})" for p in PATTERNS.values())
 
 ROUNDS = 8
@@ -30,6 +32,11 @@ ROUNDS = 8
 DATE_A, DATE_B = 250, 292
 
 
+def _let(value: Column, then) -> Column:
+    """then(value) with value computed once, also inside a lambda."""
+    return F.element_at(F.transform(F.array(value), then), 1)
+
+
 def _digest(key: str, kind: str, step: Column, rest: Column) -> Column:
     return F.sha2(F.concat_ws("|", F.lit(key), F.lit(kind), step.cast("string"), rest).cast("binary"), 512)
 
@@ -39,23 +46,33 @@ def _byte(digest: Column, i: Column) -> Column:
 
 
 def _moved(symbol: Column, by: Column, alphabets: tuple[str, ...]) -> Column:
-    out = symbol
-    for a in alphabets:
-        place = F.instr(F.lit(a), symbol)
-        out = F.when(place > 0, F.substring(F.lit(a), (place - 1 + by) % len(a) + 1, F.lit(1))).otherwise(out)
-    return out
+    """symbol, by places further in the alphabet that has it."""
+    whole = "".join(alphabets)
+    starts = [len("".join(alphabets[:i])) for i in range(len(alphabets))]
+
+    def place(at: Column) -> Column:
+        out = symbol
+        for start, a in zip(reversed(starts), reversed(alphabets), strict=True):
+            inside = (at > start) & (at <= start + len(a))
+            out = F.when(inside, F.substring(F.lit(whole), F.lit(start + 1) + (at - (start + 1) + by) % len(a), F.lit(1))).otherwise(out)
+        return out
+
+    return _let(F.instr(F.lit(whole), symbol), place)
 
 
 def _feistel(symbols: Column, key: str, kind: str, move) -> Column:
     """An array of symbols through ROUNDS rounds; an even number, so the halves end where they began."""
-    half = F.floor(F.size(symbols) / 2).cast("int")
-    start = F.struct(F.slice(symbols, F.lit(1), half).alias("a"), F.slice(symbols, half + 1, F.size(symbols)).alias("b"))
 
     def step(acc: Column, i: Column) -> Column:
         stream = _digest(key, kind, i, F.array_join(acc["b"].cast("array<string>"), ","))
-        return F.struct(acc["b"].alias("a"), F.transform(acc["a"], lambda s, j: move(s, _byte(stream, j))).alias("b"))
+        return F.struct(acc["b"].alias("a"), _let(stream, lambda d: F.transform(acc["a"], lambda s, j: move(s, _byte(d, j)))).alias("b"))
+
+    def run(all_: Column) -> Column:
+        half = F.floor(F.size(all_) / 2).cast("int")
+        start = F.struct(F.slice(all_, F.lit(1), half).alias("a"), F.slice(all_, half + 1, F.size(all_)).alias("b"))
+        return F.aggregate(F.sequence(F.lit(1), F.lit(ROUNDS)), start, step, lambda acc: F.concat(acc["a"], acc["b"]))
 
-    return F.aggregate(F.sequence(F.lit(1), F.lit(ROUNDS)), start, step, lambda acc: F.concat(acc["a"], acc["b"]))
+    return _let(symbols, run)
 
 
 DIGITS, SMALL, LARGE = "0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
@@ -76,25 +93,26 @@ def _digits(text: Column) -> Column:
 
 def _luhn_sum(digits: Column) -> Column:
     """Sum over digits as if a check digit followed the last one."""
-    n = F.length(digits)
 
-    def add(acc: Column, i: Column) -> Column:
-        d = F.substring(digits, i, F.lit(1)).cast("int") * F.when((n - i) % 2 == 0, 2).otherwise(1)
-        return acc + F.when(d > 9, d - 9).otherwise(d)
+    def over(d: Column) -> Column:
+        def add(acc: Column, i: Column) -> Column:
+            twice = F.substring(d, i, F.lit(1)).cast("int") * F.when((F.length(d) - i) % 2 == 0, 2).otherwise(1)
+            return acc + F.floor(twice / 10).cast("int") + twice % 10
 
-    return F.aggregate(F.sequence(F.lit(1), n), F.lit(0), add)
+        return F.aggregate(F.sequence(F.lit(1), F.length(d)), F.lit(0), add)
+
+    return _let(digits, over)
 
 
 def luhn_valid(text: Column) -> Column:
-    d = _digits(text)
-    body = F.substring(d, F.lit(1), F.length(d) - 1)
-    return (_luhn_sum(body) + F.substring(d, -1, 1).cast("int")) % 10 == 0
+    return _let(_digits(text), lambda d: (_luhn_sum(F.substring(d, F.lit(1), F.length(d) - 1)) + F.substring(d, -1, 1).cast("int")) % 10 == 0)
 
 
 def _laid_out(template: Column, letters: Column) -> Column:
     """letters in the places of the template's letters and digits."""
-    put = lambda c, i: F.when(c.rlike("[A-Za-z0-9]"), F.substring(letters, F.length(F.regexp_replace(F.substring(template, F.lit(1), i + 1), "[^A-Za-z0-9]", "")), F.lit(1))).otherwise(c)
-    return F.array_join(F.transform(_chars(template), put), "")
+    place = lambda i: F.length(F.regexp_replace(F.substring(template, F.lit(1), i + 1), "[^A-Za-z0-9]", ""))
+    put = lambda line: F.transform(_chars(template), lambda c, i: F.when(c.rlike("[A-Za-z0-9]"), F.substring(line, place(i), F.lit(1))).otherwise(c))
+    return F.array_join(_let(letters, put), "")
 
 
 def _mod97(text: Column) -> Column:
@@ -105,23 +123,29 @@ def _mod97(text: Column) -> Column:
     return F.aggregate(_chars(text), F.lit(0), add)
 
 
+def _flat(text: Column) -> Column:
+    return F.replace(text, F.lit(" "), F.lit(""))
+
+
 def iban_valid(text: Column) -> Column:
-    flat = F.replace(text, F.lit(" "), F.lit(""))
-    return F.length(flat).between(15, 34) & (_mod97(F.concat(F.substring(flat, F.lit(5), F.lit(40)), F.substring(flat, 1, 4))) == 1)
+    return _let(_flat(text), lambda f: F.length(f).between(15, 34) & (_mod97(F.concat(F.substring(f, F.lit(5), F.lit(40)), F.substring(f, 1, 4))) == 1))
 
 
 def _iban(text: Column, key: str) -> Column:
-    flat = F.replace(text, F.lit(" "), F.lit(""))
-    body = permute_text(F.substring(flat, F.lit(5), F.lit(40)), key, "iban")
-    land = F.substring(flat, 1, 2)
-    check = F.lpad((F.lit(98) - _mod97(F.concat(body, land, F.lit("00")))).cast("string"), 2, "0")
-    return _laid_out(text, F.concat(land, check, body))
+    land = F.substring(text, 1, 2)
+
+    def whole(body: Column) -> Column:
+        check = F.lpad((F.lit(98) - _mod97(F.concat(body, land, F.lit("00")))).cast("string"), 2, "0")
+        return F.concat(land, check, body)
+
+    return _laid_out(text, _let(permute_text(F.substring(_flat(text), F.lit(5), F.lit(40)), key, "iban"), whole))
 
 
 def _card(text: Column, key: str) -> Column:
-    d = _digits(text)
-    body = F.concat(F.substring(d, 1, 1), permute_text(F.substring(d, F.lit(2), F.length(d) - 2), key, "card"))  # the network's digit stays
-    return _laid_out(text, F.concat(body, ((F.lit(10) - _luhn_sum(body) % 10) % 10).cast("string")))
+    """The first digit, of the network, stays; the last is the check digit of the others."""
+    body = lambda d: F.concat(F.substring(d, 1, 1), permute_text(F.substring(d, F.lit(2), F.length(d) - 2), key, "card", (DIGITS,)))
+    checked = lambda b: F.concat(b, ((F.lit(10) - _luhn_sum(b) % 10) % 10).cast("string"))
+    return _laid_out(text, _let(_let(_digits(text), body), checked))
 
 
 def _octets(text: Column) -> Column:
@@ -202,7 +226,7 @@ def pseudonymise(docs: DataFrame, key: str, text_col: str = "text") -> DataFrame
     (kind, value as printed now) per document, empty where nothing was found. A null text stays null and an
     empty one empty; other columns are untouched. Values that fail their validation stay as they are."""
     text = F.col(text_col)
-    found = F.when(text.rlike(ANY), F.regexp_extract_all(text, F.lit(ANY), F.lit(0)))
+    found = F.when(text.rlike(HINT), F.regexp_extract_all(text, F.lit(ANY), F.lit(0)))
     typed = F.transform(F.col("_values"), lambda v: F.struct(kind_of(v).alias("kind"), v.alias("value")))
     renamed = F.transform(F.col("_typed"), lambda t: F.struct(t["kind"].alias("kind"), pseudonym(t["value"], t["kind"], key).alias("value")))
     gaps = F.split(text, ANY, -1)
@@ -211,7 +235,7 @@ def pseudonymise(docs: DataFrame, key: str, text_col: str = "text") -> DataFrame
         docs.withColumn("_values", found)
         .withColumn("_typed", typed)
         .withColumn("_renamed", renamed)
-        .withColumn(text_col, F.when(F.col("_values").isNull(), text).otherwise(woven))
+        .withColumn(text_col, F.when(F.size("_values") > 0, woven).otherwise(text))
         .withColumn("_private", F.coalesce(F.filter(F.col("_renamed"), lambda r: r["kind"].isNotNull()), F.array().cast("array<struct<kind:string,value:string>>")))
         .drop("_values", "_typed", "_renamed")
     )
