@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 def expand(blocks: DataFrame, cross=None) -> DataFrame:
@@ -57,7 +58,7 @@ def pack(pairs: DataFrame) -> DataFrame:
     return sized.select("key", "n", "rids", F.size("e").cast("bigint").alias("edges"), full.alias("is_full"), F.when(~full, bits).alias("bits"))
 
 
-@F.pandas_udf("binary")
+@F.pandas_udf(T.BinaryType())
 def encode(bits: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
     """Bitmap of n * (n - 1) / 2 bits from places and n; null where places are null."""
     for places, n in bits:
@@ -72,7 +73,7 @@ def encode(bits: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
         yield pd.Series(out)
 
 
-@F.pandas_udf("array<bigint>")
+@F.pandas_udf(T.ArrayType(T.LongType()))
 def decode(maps: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
     """Places of the set bits; all places where the bitmap is null."""
     for bitmaps, n in maps:
