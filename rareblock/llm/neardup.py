@@ -15,13 +15,14 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.cluster import components
 from .common import settle
 
 M, BAND, BASE, RATE, TOP = 128, 4, 1.001, 20.0, 65535
+REMEMBER = 300_000  # words whose hashes a task keeps
 _FOLD = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 _GOLDEN = np.uint64(0x9E3779B97F4A7C15)
 
@@ -98,10 +99,9 @@ def merge(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.maximum(a, b)
 
 
-def band_keys(registers: np.ndarray) -> np.ndarray:
-    """(len, M // BAND) 64-bit keys, one per band of BAND register values."""
-    bands = np.ascontiguousarray(registers).view("u8").reshape(len(registers), M // BAND)
-    return mix(bands + (np.arange(M // BAND, dtype="u8") + np.uint64(1)) * _GOLDEN).view("i8")
+def bands_of(registers: Column) -> Column:
+    """An array of M // BAND keys, each of a band's number and its BAND register values."""
+    return F.transform(F.sequence(F.lit(0), F.lit(M // BAND - 1)), lambda i: F.xxhash64(i, F.substring(registers, i * (2 * BAND) + 1, F.lit(2 * BAND))))
 
 
 def likely_jaccard(a: np.ndarray, b: np.ndarray, n_a: np.ndarray, n_b: np.ndarray, steps: int = 40) -> np.ndarray:
@@ -125,7 +125,7 @@ def likely_jaccard(a: np.ndarray, b: np.ndarray, n_a: np.ndarray, n_b: np.ndarra
     return (low + high) / 2
 
 
-def _chunks(texts: list[bytes], limit: int = 4_000_000) -> Iterator[tuple[int, int]]:
+def _chunks(texts: list[bytes], limit: int = 1_000_000) -> Iterator[tuple[int, int]]:
     start = held = 0
     for i, t in enumerate(texts):
         if held and held + len(t) > limit:
@@ -137,15 +137,15 @@ def _chunks(texts: list[bytes], limit: int = 4_000_000) -> Iterator[tuple[int, i
 
 
 def sketches(docs: DataFrame, k: int, id_col: str, text_col: str) -> DataFrame:
-    """doc_id, n_shingles, digest of the set (null if empty), registers and band keys."""
-    schema = f"doc_id {docs.schema[id_col].dataType.simpleString()}, n_shingles long, digest binary, registers binary, bands array<long>"
+    """doc_id, n_shingles, digest of the set (null if empty) and registers."""
+    schema = f"doc_id {docs.schema[id_col].dataType.simpleString()}, n_shingles long, digest binary, registers binary"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = _WordHashes()
         for batch in batches:
             texts = [t or b"" for t in batch.column(1).cast(pa.binary()).to_pylist()]
             for a, b in _chunks(texts):
-                if len(hashes) > 2_000_000:
+                if len(hashes) > REMEMBER:
                     hashes.clear()
                 sets = shingle_sets(texts[a:b], k, hashes)
                 registers = sketch(sets)
@@ -154,9 +154,8 @@ def sketches(docs: DataFrame, k: int, id_col: str, text_col: str) -> DataFrame:
                         batch.column(0).slice(a, b - a), pa.array([len(s) for s in sets], "i8"),
                         pa.array([xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None for s in sets], pa.binary()),
                         pa.array([r.tobytes() for r in registers], pa.binary()),
-                        pa.FixedSizeListArray.from_arrays(pa.array(band_keys(registers).ravel()), M // BAND).cast(pa.list_(pa.int64())),
                     ],
-                    ["doc_id", "n_shingles", "digest", "registers", "bands"],
+                    ["doc_id", "n_shingles", "digest", "registers"],
                 )
 
     return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, schema)
@@ -203,27 +202,102 @@ def full_sets(docs: DataFrame, nodes: DataFrame, k: int, id_col: str, text_col:
         for batch in batches:
             texts = [t or b"" for t in batch.column(1).cast(pa.binary()).to_pylist()]
             for a, b in _chunks(texts):
-                if len(hashes) > 2_000_000:
+                if len(hashes) > REMEMBER:
                     hashes.clear()
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array([s.tobytes() for s in shingle_sets(texts[a:b], k, hashes)], pa.binary())], ["node", "shingles"])
 
     return wanted.mapInArrow(run, f"node {docs.schema[id_col].dataType.simpleString()}, shingles binary")
 
 
-def near_duplicates(docs: DataFrame, k: int = 5, per_cent: int = 80, id_col: str = "doc_id", text_col: str = "text", margin: float = 0.17, wide: int = 128) -> DataFrame:
+def _links_in_block(left: list[tuple], right: list[tuple] | None, per_cent: int, width: int = 4096) -> list[tuple]:
+    """Pairs (a, b) of rows (node, component, shingles) of two chunks, or of one with itself, that are of other
+    components and similar enough. Intersections are exact: products of 0/1 matrices over shared shingles, a
+    stretch of columns at a time."""
+    other = left if right is None else right
+    sets = [[np.frombuffer(r[2], "u8") for r in side] for side in (left, other)]
+    shared = np.intersect1d(np.unique(np.concatenate(sets[0])), np.unique(np.concatenate(sets[1])), assume_unique=True)
+    common = np.zeros((len(left), len(other)), "f4")
+
+    def placed(side: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        owner, value = np.repeat(np.arange(len(side)), [len(x) for x in side]), np.concatenate(side)
+        at = np.searchsorted(shared, value)
+        known = shared[np.minimum(at, len(shared) - 1)] == value
+        return owner[known], at[known]
+
+    if len(shared):
+        (row_a, at_a), (row_b, at_b) = placed(sets[0]), placed(sets[1])
+        for start in range(0, len(shared), width):
+            grids = []
+            for rows, at, many in ((row_a, at_a, len(left)), (row_b, at_b, len(other))):
+                grid = np.zeros((many, min(width, len(shared) - start)), "f4")
+                here = (at >= start) & (at < start + width)
+                grid[rows[here], at[here] - start] = 1
+                grids.append(grid)
+            common += grids[0] @ grids[1].T
+    n_a, n_b = (np.array([len(x) for x in side], "f8") for side in sets)
+    close = 100 * common.astype("f8") >= per_cent * (n_a[:, None] + n_b[None, :] - common)
+    found = []
+    for i, j in zip(*(x.tolist() for x in np.nonzero(close)), strict=True):
+        a, b = left[i], other[j]
+        if a[1] != b[1] and (right is not None or i < j):
+            found.append((min(a[0], b[0]), max(a[0], b[0])))
+    return found
+
+
+def _cross_links(members: DataFrame, sets: DataFrame, per_cent: int, weight: int) -> DataFrame:
+    """Links between sets of other components among members (hub, node, component, n_shingles) of one hub. The
+    members of a hub are dealt into chunks of about ``weight`` shingles and every two chunks meet in a task, so
+    no task holds more than two of them; only links come out, never the pairs that were looked at."""
+    chunks = members.groupBy("hub").agg((F.floor(F.sum("n_shingles") / weight) + 1).cast("int").alias("chunks"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi")
+    dealt = members.join(chunks.select("hub", "chunks"), "hub").withColumn("chunk", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
+    spread = dealt.withColumn("meets", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    spread = spread.join(sets, "node").select("hub", F.least("chunk", "meets").alias("i"), F.greatest("chunk", "meets").alias("j"), "chunk", "node", "component", "shingles")
+    keys = ["hub", "i", "j"]
+    parts = int(members.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    ordered = spread.repartition(parts, *keys).sortWithinPartitions(*keys)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, rows, ids = None, [], None
+
+        def block() -> list[tuple]:
+            if key is None or len({r[1] for _, r in rows}) < 2:
+                return []
+            left, right = [r for c, r in rows if c == key[1]], [r for c, r in rows if c != key[1]]
+            if key[1] == key[2]:
+                return _links_in_block(left, None, per_cent)
+            return _links_in_block(left, right, per_cent) if left and right else []
+
+        out: list[tuple] = []
+        for batch in batches:
+            ids = batch.schema.field("node").type
+            for hub, i, j, chunk, *row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if (hub, i, j) != key:
+                    out += block()
+                    key, rows = (hub, i, j), []
+                rows.append((chunk, tuple(row)))
+        out += block()
+        if ids is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([a for a, _ in out], ids), pa.array([b for _, b in out], ids)], ["a", "b"])
+
+    kind = sets.schema["node"].dataType.simpleString()
+    return ordered.mapInArrow(run, f"a {kind}, b {kind}").distinct()
+
+
+def near_duplicates(docs: DataFrame, k: int = 5, per_cent: int = 80, id_col: str = "doc_id", text_col: str = "text", margin: float = 0.17, weight: int = 200_000) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id (least id reachable over links of
     intersection / union >= per_cent / 100 on k-word shingle sets) and kept (it is that least id).
 
     Null, empty and blank texts have no shingles and are linked with nothing. Rows that share an id are one
     document. A row with a null id is linked with nothing, has a null component and is kept. ``margin`` is
-    how far below the threshold the likelihood may fall before a pair is given up (five standard errors);
-    bands of more than ``wide`` unresolved sets are compared where a second band agrees too.
+    how far below the threshold the likelihood may fall before a pair is given up (five standard errors).
+    A set that is not yet connected with all of its band is then compared in full with the rest, in chunks of
+    ``weight`` shingles.
     """
     made = settle(sketches(docs, k, id_col, text_col), "sketches")
     full = made.filter(F.col("digest").isNotNull() & F.col("doc_id").isNotNull())
     classes = full.groupBy("digest").agg(F.min("doc_id").alias("node"))
-    nodes = settle(full.join(classes, (full["digest"] == classes["digest"]) & (full["doc_id"] == classes["node"]), "inner").select("node", "n_shingles", "registers", "bands").dropDuplicates(["node", "registers"]), "nodes")
-    buckets = nodes.select("node", "n_shingles", F.explode("bands").alias("band"))
+    nodes = settle(full.join(classes, (full["digest"] == classes["digest"]) & (full["doc_id"] == classes["node"]), "inner").select("node", "n_shingles", "registers").dropDuplicates(["node", "registers"]), "nodes")
+    buckets = nodes.select("node", "n_shingles", F.explode(bands_of(F.col("registers"))).alias("band"))
     shared = buckets.groupBy("band").agg(F.min("node").alias("hub"), F.count("*").alias("members"), F.min_by("n_shingles", "node").alias("hub_size")).filter("members > 1")
     buckets = settle(buckets.join(shared, "band"), "buckets")
     alike = lambda x, y: (100 * F.least(x, y) >= per_cent * F.greatest(x, y))  # noqa: E731  sizes that allow the similarity
@@ -241,17 +315,8 @@ def near_duplicates(docs: DataFrame, k: int = 5, per_cent: int = 80, id_col: str
     # Sets of one band that are not connected yet, the least aside, which has met them all.
     placed = unresolved.join(found, "node", "left").withColumn("component", F.coalesce("component", "node"))
     mixed = placed.groupBy("band").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("band")
-    open_ = placed.join(mixed, "band", "left_semi").filter("node <> hub")
-    open_ = settle(open_, "open")
-    narrow = open_.filter(F.col("members") <= wide).select("band", F.lit(0).cast("long").alias("second"), "node", "n_shingles", "component")
-    again = nodes.select("node", F.explode("bands").alias("second"))
-    broad = open_.filter(F.col("members") > wide).join(again, "node").filter(F.col("second") != F.col("band")).select("band", "second", "node", "n_shingles", "component")
-    cells = narrow.unionByName(broad)
-    x, y = cells.alias("x"), cells.alias("y")
-    on = (F.col("x.band") == F.col("y.band")) & (F.col("x.second") == F.col("y.second")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.component") != F.col("y.component"))
-    second = x.join(y, on & alike(F.col("x.n_shingles"), F.col("y.n_shingles"))).select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct()
-    second = settle(_by_likelihood(second, nodes, floor), "pairs")
-    more = settle(_confirmed(second, sets, per_cent), "links")
+    open_ = placed.join(mixed, "band", "left_semi").filter("node <> hub").select("hub", "node", "component", "n_shingles").distinct()
+    more = settle(_cross_links(settle(open_, "open"), sets, per_cent, weight), "links")
     if more.limit(1).count():
         found = components(links.unionByName(more), "a", "b")
     named = classes.join(found, "node", "left").select("digest", F.coalesce("component", "node").alias("component"))
@@ -260,3 +325,17 @@ def near_duplicates(docs: DataFrame, k: int = 5, per_cent: int = 80, id_col: str
         F.when(F.col("doc_id").isNull(), None).otherwise(F.coalesce("component", "doc_id")).alias("component_id"),
         (F.col("doc_id").isNull() | (F.coalesce("component", "doc_id") == F.col("doc_id"))).alias("kept"),
     )
+
+
+def keep_one(docs: DataFrame, k: int = 5, per_cent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of docs, all columns, that near_duplicates() keeps. Of rows that share an id one stays, that of
+    least text; rows without an id all stay."""
+    gone = near_duplicates(docs, k, per_cent, id_col, text_col).filter("NOT kept").select(F.col("doc_id").alias("_gone"))
+    left = docs.join(gone, docs[id_col] == gone["_gone"], "left_anti")
+    repeated = docs.groupBy(F.col(id_col).alias("_again")).agg(F.count("*").alias("_n")).filter("_n > 1 AND _again IS NOT NULL").select("_again")
+    if not repeated.limit(1).count():
+        return left
+    single = left.join(repeated, left[id_col] == repeated["_again"], "left_anti")
+    several = left.join(repeated, left[id_col] == repeated["_again"], "left_semi")
+    first = Window.partitionBy(id_col).orderBy(F.col(text_col).asc_nulls_last())
+    return single.unionByName(several.withColumn("_nth", F.row_number().over(first)).filter("_nth = 1").drop("_nth"))
