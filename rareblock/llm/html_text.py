@@ -2,7 +2,8 @@
 
 A page is cut into blocks. Blocks of one root-to-leaf tag path are taken together: their mean length outside
 links times their punctuation is the path's ratio. Ratios are smoothed over paths that are close in the tree,
-so a headline beside long paragraphs counts with them, and paths below a share of the best one are dropped.
+so a headline beside long paragraphs counts with them; own and smoothed ratio are fused by their geometric
+mean, and paths below a share of the best one are dropped.
 Elements that name themselves as navigation, advert, form, comment and the like never take part.
 """
 
@@ -169,7 +170,7 @@ def smoothed(ratios: dict[tuple[str, ...], float], width: float = 1.0) -> dict[t
     return dict(zip(paths, values.tolist(), strict=True))
 
 
-def main_text(page: str, share: float = 0.1, width: float = 1.0) -> str:
+def main_text(page: str, share: float = 0.05, width: float = 1.0) -> str:
     """The blocks on content paths, joined by newlines. Where the page marks an article or main element, its
     blocks alone are candidates, and only paths made of links are dropped."""
     blocks = blocks_of(page)
@@ -177,7 +178,8 @@ def main_text(page: str, share: float = 0.1, width: float = 1.0) -> str:
     blocks = marked or blocks
     if not blocks:
         return ""
-    fused = smoothed(path_ratios(blocks), width)
+    own = path_ratios(blocks)
+    fused = {p: (own[p] * v) ** 0.5 for p, v in smoothed(own, width).items()}
     floor = share * max(fused.values())
     linked, total = defaultdict(int), defaultdict(int)
     for b in blocks:
