@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..plans.storage import settle
+from ..plans import storage
 
 __all__ = ["ascii_lower", "held_out", "settle", "table"]
 
@@ -13,7 +13,25 @@ UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 LOWER = UPPER.lower()
 
 
+_BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
+def small_batches(spark: SparkSession, rows: int = 1000) -> None:
+    """Let Arrow batches of this session hold at most ``rows`` rows, for texts may be long: neither side of a
+    Python worker then holds more than a few megabytes of them. A lower setting stays as it is."""
+    now = int(spark.conf.get(_BATCH))
+    if now <= 0 or now > rows:
+        spark.conf.set(_BATCH, str(rows))
+
+
+def settle(df: DataFrame, label: str = "step") -> DataFrame:
+    """storage.settle() in small Arrow batches."""
+    small_batches(df.sparkSession)
+    return storage.settle(df, label)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    small_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
