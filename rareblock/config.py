@@ -15,7 +15,7 @@ class BlockingConfig:
     settle most keys first; 'pivot' collects the ids of every key; 'auto' takes the sketch where it pays.
     membership: how over-counted keys are told from duplicates, 'join' or 'bloom'. shrink_on: whether the
     shrink test sees the exact size or the sketch's estimate. survivor_store: 'broadcast', 'join' or 'auto'.
-    pair_dedup: 'shuffle' groups pairs, 'propagate' decides inside blocks.
+    pair_dedup: 'shuffle' groups pairs, 'propagate' decides inside blocks, 'auto' by the keys per record.
     """
 
     block_cap: int = 500
@@ -29,7 +29,7 @@ class BlockingConfig:
     bloom_fpp: float = 1e-8
     shrink_on: str = "exact"
     survivor_store: str = "auto"
-    pair_dedup: str = "propagate"
+    pair_dedup: str = "auto"
     hash: str = "md5"
     max_rounds: int = 64
     checkpoint_dir: str | None = None
@@ -37,7 +37,7 @@ class BlockingConfig:
     broadcast_keys: int = 2_000_000
 
     def __post_init__(self) -> None:
-        choices = {"counting": ("auto", "sketch", "exact", "pivot"), "membership": ("join", "bloom"), "shrink_on": ("exact", "estimate"), "survivor_store": ("auto", "broadcast", "join"), "pair_dedup": ("propagate", "shuffle"), "hash": ("md5", "xx128")}
+        choices = {"counting": ("auto", "sketch", "exact", "pivot"), "membership": ("join", "bloom"), "shrink_on": ("exact", "estimate"), "survivor_store": ("auto", "broadcast", "join"), "pair_dedup": ("auto", "propagate", "shuffle"), "hash": ("md5", "xx128")}
         for name, allowed in choices.items():
             if getattr(self, name) not in allowed:
                 raise ValueError(f"{name} must be one of {allowed}")

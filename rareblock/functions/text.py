@@ -33,11 +33,19 @@ def words(c: Column) -> Column:
     return F.array_distinct(word_list(c))
 
 
+def _let(value: Column, then) -> Column:
+    """then(value), value being computed once, where a lambda would compute it for every element."""
+    return F.element_at(F.transform(F.array(value), then), 1)
+
+
 def word_ngrams(c: Column, n: int) -> Column:
     """Distinct runs of n words; none if there are fewer."""
-    w = word_list(c)
-    runs = F.transform(F.sequence(F.lit(1), F.size(w) - (n - 1)), lambda i: F.array_join(F.slice(w, i, F.lit(n)), " "))
-    return F.when(F.size(w) >= n, F.array_distinct(runs)).otherwise(F.array().cast("array<string>"))
+
+    def runs(w: Column) -> Column:
+        made = F.transform(F.sequence(F.lit(1), F.size(w) - (n - 1)), lambda i: F.array_join(F.slice(w, i, F.lit(n)), " "))
+        return F.when(F.size(w) >= n, F.array_distinct(made)).otherwise(F.array().cast("array<string>"))
+
+    return _let(word_list(c), runs)
 
 
 def qgrams(c: Column, q: int) -> Column:

@@ -59,7 +59,7 @@ def run(index: DataFrame, cfg: BlockingConfig = BlockingConfig()) -> Run:  # noq
 
 
 def _one_round(current: DataFrame, cfg: BlockingConfig, t: int, keep) -> tuple[DataFrame, DataFrame, tuple]:
-    long_df = rounds.long_form(current)
+    long_df = current
     mode = _counting(cfg, long_df.count() if cfg.counting == "auto" else 0)
     settled = None
     if mode == "sketch":
@@ -116,7 +116,13 @@ def candidate_pairs(df: DataFrame, rid, specs, cfg: BlockingConfig = BlockingCon
 
 
 def pairs_of(blocks: DataFrame, cfg: BlockingConfig, cross=None) -> DataFrame:
-    return pair_ops.propagate(blocks, cross) if cfg.pair_dedup == "propagate" else pair_ops.dedupe(pair_ops.expand(blocks, cross))
+    """Distinct pairs of the blocks. 'auto' decides inside blocks while a record has few of them, since two
+    records' lists are compared for every pair, and else shuffles pairs."""
+    how = cfg.pair_dedup
+    if how == "auto":
+        entries, records = blocks.select("size", F.explode("rids").alias("rid")).agg(F.count("*"), F.approx_count_distinct("rid")).first()
+        how = "propagate" if entries <= 32 * max(1, records) else "shuffle"
+    return pair_ops.propagate(blocks, cross) if how == "propagate" else pair_ops.dedupe(pair_ops.expand(blocks, cross))
 
 
 def candidate_blocks(df: DataFrame, rid, specs, cfg: BlockingConfig = BlockingConfig()) -> DataFrame:  # noqa: B008

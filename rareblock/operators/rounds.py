@@ -9,14 +9,10 @@ from ..config import BlockingConfig
 from ..functions.hashing import child_key
 
 
-def long_form(index: DataFrame) -> DataFrame:
-    """(rid, key, psize) of an index (rid, keys array<struct<key, psize>>)."""
-    return index.select("rid", F.inline("keys"))
-
-
 def seeded(index: DataFrame) -> DataFrame:
-    """A top-level index in the form of the rounds; top-level keys have no parent."""
-    return index.select("rid", F.transform("keys", lambda k: F.struct(k.alias("key"), F.lit(None).cast("bigint").alias("psize"))).alias("keys"))
+    """(rid, key, psize) of a top-level index; top-level keys have no parent. A record's entries stay together,
+    in rows of one task, so their ids compress to almost nothing when written."""
+    return index.select("rid", F.explode("keys").alias("key"), F.lit(None).cast("bigint").alias("psize"))
 
 
 def key_stats(long_df: DataFrame, id_hash=None) -> DataFrame:
@@ -54,14 +50,10 @@ def classify(stats: DataFrame, cfg: BlockingConfig) -> DataFrame:
 
 
 def intersect(over: DataFrame, cfg: BlockingConfig) -> DataFrame:
-    """The next index, of the logical intersections of every two over-size keys a record has: no shuffle beyond
-    that which gathers a record's over-size keys, (rid, key, size). Records with more than key_cap of them
-    or fewer than two leave."""
-    held = over.groupBy("rid").agg(F.array_sort(F.collect_list(F.struct("key", "size"))).alias("k"))
-    return held.filter(F.size("k").between(2, cfg.key_cap)).select("rid", children(F.col("k"), cfg.hash).alias("keys"))
-
-
-def children(k: Column, how: str = "md5") -> Column:
-    """All pairs of a sorted array of (key, size) as (key, psize)."""
-    one = lambda a, b: F.struct(child_key(a["key"], b["key"], how).alias("key"), F.least(a["size"], b["size"]).alias("psize"))
-    return F.flatten(F.transform(F.slice(k, F.lit(1), F.size(k) - 1), lambda a, i: F.transform(F.slice(k, i + 2, F.size(k)), lambda b: one(a, b))))
+    """(rid, key, psize) of the logical intersections of every two over-size keys a record has: no shuffle beyond
+    that which gathers a record's over-size keys, (rid, key, size). Records with more than key_cap of them or
+    fewer than two leave. Two explodes make the pairs, so that hashing them is compiled code."""
+    held = over.groupBy("rid").agg(F.array_sort(F.collect_list(F.struct("key", "size"))).alias("k")).filter(F.size("k").between(2, cfg.key_cap))
+    first = held.select("rid", "k", F.posexplode(F.slice("k", F.lit(1), F.size("k") - 1)).alias("i", "a"))
+    both = first.select("rid", "a", F.explode(F.slice("k", F.col("i") + 2, F.size("k"))).alias("b"))
+    return both.select("rid", child_key(F.col("a.key"), F.col("b.key"), cfg.hash).alias("key"), F.least("a.size", "b.size").alias("psize"))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -31,7 +32,9 @@ def _sweep() -> None:
         try:
             remove(spark, path)
         except Exception:  # the session has ended before the interpreter
-            return
+            local = path.removeprefix("file://").removeprefix("file:")
+            if local.startswith("/"):
+                shutil.rmtree(local, ignore_errors=True)
 
 
 atexit.register(_sweep)

@@ -22,7 +22,7 @@ def _pairs(index, name: str, **changes):
 
 
 def _first(s, d: str, index, name: str) -> tuple[DataFrame, BlockingConfig]:
-    return rounds.long_form(rounds.seeded(index(s, d))), fx.config(name)
+    return rounds.seeded(index(s, d)), fx.config(name)
 
 
 def _over(s, d: str, index, name: str, **changes) -> DataFrame:
@@ -59,7 +59,7 @@ def _cut(s, d: str) -> DataFrame:
 
 def _shrink(s, d: str) -> DataFrame:
     cfg = fx.config("docs")
-    child = rounds.long_form(rounds.intersect(_over(s, d, fx.docs_index, "docs"), cfg))
+    child = rounds.intersect(_over(s, d, fx.docs_index, "docs"), cfg)
     over = rounds.key_stats(child).filter(F.col("size") > cfg.block_cap)
     return over.select(printed(F.col("key")).alias("key"), "size", "psize", rounds.shrinks(F.col("size"), F.col("psize"), cfg).alias("pass"))
 
@@ -119,7 +119,7 @@ def _rough(s, d: str) -> DataFrame:
 def _lost(s, d: str) -> DataFrame:
     """Fit keys of the second generation that a crude sketch loses, by what the shrink test looks at."""
     cfg = fx.config("docs").but(counting="sketch", sketch_eps=0.002, sketch_confidence=0.5)
-    child = rounds.long_form(rounds.intersect(_over(s, d, fx.docs_index, "docs"), cfg))
+    child = rounds.intersect(_over(s, d, fx.docs_index, "docs"), cfg)
     fit = rounds.key_stats(child).filter(F.col("size").between(2, cfg.block_cap)).select("key")
     out = None
     for mode in ("estimate", "exact"):
@@ -154,7 +154,7 @@ def _heavy(s, d: str) -> DataFrame:
 def _stalls(s, d: str) -> DataFrame:
     """Classes of keys in the first two rounds where attributes repeat."""
     cfg = fx.config("lineitem")
-    long_df = rounds.long_form(rounds.seeded(fx.lineitem_index(s, d, 4, 2)))
+    long_df = rounds.seeded(fx.lineitem_index(s, d, 4, 2))
     out = None
     for t in range(2):
         stats = rounds.key_stats(long_df)
@@ -162,13 +162,13 @@ def _stalls(s, d: str) -> DataFrame:
         fit = stats.filter(F.col("size").between(2, cfg.block_cap)).select(F.lit("fit").alias("class"))
         row = over.select(F.col("kind").alias("class")).unionByName(fit).groupBy("class").agg(F.count("*").alias("n")).withColumn("round", F.lit(t).cast("bigint"))
         out = row if out is None else out.unionByName(row)
-        long_df = rounds.long_form(rib.settle(rounds.intersect(rib.split(long_df, over, cfg, 0)[1], cfg), "next"))
+        long_df = rib.settle(rounds.intersect(rib.split(long_df, over, cfg, 0)[1], cfg), "next")
     return out.select("round", "class", "n")
 
 
 QUERIES = {
     "rib_part": _pairs(fx.part_index, "part", pair_dedup="shuffle"),
-    "rib_part_propagate": _pairs(fx.part_index, "part"),
+    "rib_part_propagate": _pairs(fx.part_index, "part", pair_dedup="propagate"),
     "rib_part_sketch": _pairs(fx.part_index, "part", counting="sketch"),
     "rib_part_published": lambda s, d: shown(rib.pairs_of(rib.run(fx.part_index(s, d), AS_PUBLISHED.but(block_cap=20, sketch_eps=1e-5)).blocks(), AS_PUBLISHED)),
     "rib_orders": _pairs(fx.orders_index, "orders"),
@@ -184,7 +184,7 @@ QUERIES = {
     "over_keys_orders": lambda s, d: shown(rounds.key_stats(_first(s, d, fx.orders_index, "orders")[0]).filter("size > 50").select("key", "size")),
     "twins_docs": _twins,
     "settle_docs": _classes,
-    "intersect_orders": lambda s, d: shown(rounds.long_form(rounds.intersect(_over(s, d, fx.orders_index, "orders"), fx.config("orders")))),
+    "intersect_orders": lambda s, d: shown(rounds.intersect(_over(s, d, fx.orders_index, "orders"), fx.config("orders"))),
     "keycap_docs": _cut,
     "shrink_docs": _shrink,
     "rib_rounds_report": _report,

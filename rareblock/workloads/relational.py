@@ -129,7 +129,8 @@ QUERIES = {
     "sub_scalar": lambda s, d: _orders(s, d).crossJoin(F.broadcast(_orders(s, d).agg(F.avg("o_totalprice").alias("mean")))).filter("o_totalprice > mean").select("o_orderkey"),  # one row
     "hash_sample": lambda s, d: fx.docs(s, d).filter(F.conv(F.substring(F.md5(F.col("doc_id").cast("string").cast("binary")), 1, 7), 16, 10).cast("bigint") % 10 == 0).select("doc_id"),
     "rid_lineitem": lambda s, d: fx.lineitem(s, d).select("rid", *LINEITEM_KEY[:4]),
-    "fn_string": lambda s, d: fx.part(s, d).select("p_partkey", F.soundex(F.element_at(F.split("p_name", " "), 1)).alias("sound"), F.levenshtein("p_name", "p_type").cast("bigint").alias("edits"), F.sha2("p_brand", 256).alias("sha"), F.translate("p_brand", "#", "-").alias("plain"), F.concat_ws("/", "p_name", "p_type").alias("path")),
+    "fn_soundex": lambda s, d: fx.part(s, d).select("p_partkey", F.soundex(F.element_at(F.split("p_name", " "), 1)).alias("sound")),
+    "fn_string": lambda s, d: fx.part(s, d).select("p_partkey", F.levenshtein("p_name", "p_type").cast("bigint").alias("edits"), F.sha2("p_brand", 256).alias("sha"), F.translate("p_brand", "#", "-").alias("plain"), F.concat_ws("/", "p_name", "p_type").alias("path")),
     "fn_html": lambda s, d: load(s, d, "pages").select("page_id", F.md5(fx.page_text().cast("binary")).alias("text_md5"), F.length(fx.page_text()).cast("bigint").alias("n")),
     "fn_url": lambda s, d: load(s, d, "pages").select("page_id", text.canonical_url(F.col("url")).alias("url")),
     "fn_date": lambda s, d: _orders(s, d).select("o_orderkey", F.date_format("o_orderdate", "yyyy-MM-dd").alias("day"), F.date_format(F.date_trunc("month", "o_orderdate"), "yyyy-MM-dd").alias("month"), F.datediff(F.lit("2000-01-01").cast("date"), "o_orderdate").cast("bigint").alias("left")),
@@ -188,6 +189,7 @@ ORACLE_SQL = {
     "sub_scalar": "SELECT o_orderkey FROM orders WHERE o_totalprice > (SELECT avg(o_totalprice) FROM orders)",
     "hash_sample": "SELECT doc_id FROM documents WHERE CAST('0x' || substr(md5(CAST(doc_id AS VARCHAR)), 1, 7) AS BIGINT) % 10 = 0",
     "rid_lineitem": f"SELECT rid, {', '.join(LINEITEM_KEY[:4])} FROM {sql.LINE_ROWS}",
+    "fn_string": "SELECT p_partkey, levenshtein(p_name, p_type) AS edits, sha256(p_brand) AS sha, translate(p_brand, '#', '-') AS plain, concat_ws('/', p_name, p_type) AS path FROM part",
     "fn_html": f"SELECT page_id, md5({sql.STRIPPED}) AS text_md5, CAST(length({sql.STRIPPED}) AS BIGINT) AS n FROM pages",
     "fn_url": "SELECT page_id, regexp_replace(regexp_replace(regexp_replace(lower(url), '[?#].*$', ''), '^[a-z]+://(www\\.)?', ''), '/+$', '') AS url FROM pages",
     "fn_date": "SELECT o_orderkey, strftime(o_orderdate, '%Y-%m-%d') AS day, strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS month, date_diff('day', o_orderdate, DATE '2000-01-01') AS \"left\" FROM orders",

@@ -62,7 +62,7 @@ def random_blocks():
 
 def test_variants_agree(spark, random_blocks):
     exact = pairs(spark, random_blocks, block_cap=6)
-    for change in ({"counting": "pivot"}, {"counting": "sketch"}, {"counting": "sketch", "sketch_eps": 0.05}, {"pair_dedup": "shuffle"}, {"survivor_store": "join"}, {"counting": "sketch", "membership": "bloom"}):
+    for change in ({"counting": "pivot"}, {"pair_dedup": "propagate"}, {"counting": "sketch"}, {"counting": "sketch", "sketch_eps": 0.05}, {"pair_dedup": "shuffle"}, {"survivor_store": "join"}, {"counting": "sketch", "membership": "bloom"}):
         assert pairs(spark, random_blocks, block_cap=6, **change) == exact, change
     assert set(pairs(spark, random_blocks, block_cap=6, hash="xx128")) == set(exact)
 
@@ -102,7 +102,7 @@ def test_bitmaps(spark, random_blocks):
 
 
 def test_sketch_and_bloom(spark, random_blocks):
-    long_df = rounds.long_form(rounds.seeded(index(spark, random_blocks)))
+    long_df = rounds.seeded(index(spark, random_blocks))
     stats = rounds.key_stats(long_df)
     estimate = sketch.estimator(spark, sketch.build(long_df, 0.01, 0.99))
     assert stats.filter(estimate(F.col("key")) < F.col("size")).count() == 0
