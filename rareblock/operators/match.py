@@ -12,13 +12,13 @@ from .cluster import components
 
 
 def attach(pairs: DataFrame, records: DataFrame, rid: str, columns: dict[str, Column]) -> DataFrame:
-    """pairs with each side's columns as name1 and name2."""
+    """pairs with the columns of either side, numbered 1 and 2."""
     side = lambda n: records.select(F.col(rid).cast("bigint").alias(f"rid{n}"), *[c.alias(f"{name}{n}") for name, c in columns.items()])
     return pairs.join(side(1), "rid1").join(side(2), "rid2")
 
 
 def score(pairs: DataFrame, records: DataFrame, rid: str, columns: dict[str, Column], rule: Column, least: float) -> DataFrame:
-    """(rid1, rid2, score) of pairs whose rule over name1, name2 columns reaches least."""
+    """(rid1, rid2, score) of pairs whose rule over the numbered columns reaches least."""
     return attach(pairs.select("rid1", "rid2"), records, rid, columns).select("rid1", "rid2", F.round(rule, 6).alias("score")).filter(F.col("score") >= least)
 
 
