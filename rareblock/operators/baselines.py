@@ -5,9 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..config import BlockingConfig
 from . import keys as block_keys
-from . import pairs as pair_ops
-from . import rounds
+from . import rib, rounds
 
 
 def static_pairs(df: DataFrame, rid: str, columns: list[str]) -> DataFrame:
@@ -42,4 +42,4 @@ def fit_blocks(index: DataFrame, cap: int) -> DataFrame:
 
 def cap_drop(index: DataFrame, cap: int = 500) -> DataFrame:
     """Threshold blocking: distinct pairs of blocks up to cap records; larger blocks are discarded."""
-    return pair_ops.propagate(fit_blocks(index, cap)).select("rid1", "rid2")
+    return rib.pairs_of(fit_blocks(index, cap), BlockingConfig()).select("rid1", "rid2")
