@@ -24,10 +24,17 @@ def small_batches(spark: SparkSession, rows: int = 1000) -> None:
         spark.conf.set(_BATCH, str(rows))
 
 
-def settle(df: DataFrame, label: str = "step") -> DataFrame:
-    """storage.settle() in small Arrow batches."""
+def settle(df: DataFrame, label: str = "step", batch_rows: int | None = None) -> DataFrame:
+    """storage.settle() in small Arrow batches; batch_rows, for rows of megabytes, holds for this table alone."""
+    conf = df.sparkSession.conf
     small_batches(df.sparkSession)
-    return storage.settle(df, label)
+    before = conf.get(_BATCH)
+    if batch_rows:
+        conf.set(_BATCH, str(batch_rows))
+    try:
+        return storage.settle(df, label)
+    finally:
+        conf.set(_BATCH, before)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -31,7 +31,7 @@ def words_of(text: bytes) -> list[bytes]:
     return text.translate(_FOLD).split()
 
 
-def build_index(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shard_words: int = 2_000_000) -> DataFrame:
+def build_index(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shard_words: int = 250_000) -> DataFrame:
     """The stored index: shard, docs (ids in order), n_words and starts (int32 arrays as bytes), terms,
     ends and positions. A null text has no words. A shard ends with the document that passes shard_words."""
     id_type = docs.schema[id_col].dataType.simpleString()
@@ -137,7 +137,8 @@ def search(index: DataFrame, items: list[tuple[object, bytes]], window: int = 10
     for item, text in items:
         for run in windows_of(words_of(text or b""), window):
             phrases[run].append(str(item))
-    shipped = index.sparkSession.sparkContext.broadcast(dict(phrases))
+    # A phrase's longest word is seldom common: a shard that lacks it is done with the phrase at once.
+    shipped = index.sparkSession.sparkContext.broadcast([(max(run, key=len), run, owners) for run, owners in phrases.items()])
     id_type = index.schema["docs"].dataType.elementType.simpleString()
     schema = f"shard string, place int, doc_id {id_type}, n_words long, spans array<struct<begin:int,stop:int>>, items array<string>"
 
@@ -148,7 +149,9 @@ def search(index: DataFrame, items: list[tuple[object, bytes]], window: int = 10
                 shard = Shard(*(row[k].as_py() for k in ("n_words", "starts", "terms", "ends", "positions")))
                 n = len(shard.n_words)
                 spans, items_of = [[] for _ in range(n)], [set() for _ in range(n)]
-                for words, owners in shipped.value.items():
+                for probe, words, owners in shipped.value:
+                    if probe not in shard.number:
+                        continue
                     found = [(int(b), int(b) + len(words)) for b in shard.phrase(words)] if slop is None else shard.near(words, slop)
                     for begin, stop in found:
                         d = int(np.searchsorted(shard.starts, begin, "right")) - 1
@@ -195,7 +198,7 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, window: int = 10,
     parts = []
     for b in range(blocks):
         chosen = items if blocks == 1 else items.filter(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == b)
-        parts.append(search(index, [(r["item"], bytes(r["text"])) for r in chosen.collect()], window, slop))
+        parts.append(settle(search(index, [(r["item"], bytes(r["text"])) for r in chosen.collect()], window, slop), "hits", batch_rows=2))
     if blocks == 1:
         return parts[0].select("doc_id", "n_words", "spans", "items")
     found = parts[0]
