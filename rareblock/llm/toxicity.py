@@ -167,7 +167,7 @@ class Scorer:
 
     def worst(self, texts: list[str]) -> list[tuple[float, str]]:
         lists = [{w for s in (t,) for w in words_in(s)} - {""} for t in texts]
-        new = list(set().union(*lists) - self.known.keys()) if lists else []
+        new = [w for w in set().union(*lists) if w not in self.known]
         if len(self.known) + len(new) > self.remember:
             self.known = {}
             new = list(set().union(*lists))
