@@ -200,7 +200,7 @@ _PART_RIB = sql.rounds(sql.PART, 20, 2)
 _MATCHED = f"{_DOCS_RIB}, {sql.truth_docs(0.8)}, matched AS MATERIALIZED (SELECT rid1, rid2, round(jaccard, 6) AS score FROM pairs JOIN tj USING (rid1, rid2) WHERE round(jaccard, 6) >= 0.8)"
 _CLUSTERED = (
     f"WITH RECURSIVE {_MATCHED}, twoway AS MATERIALIZED (SELECT rid1 AS a, rid2 AS b FROM matched UNION SELECT rid2, rid1 FROM matched), "
-    "walk AS (SELECT a AS rid, a AS seen FROM both UNION SELECT rid, b FROM walk JOIN twoway ON a = seen), clustered AS (SELECT rid, min(seen) AS cluster FROM walk GROUP BY rid)"
+    "walk AS (SELECT a AS rid, a AS seen FROM twoway UNION SELECT rid, b FROM walk JOIN twoway ON a = seen), clustered AS (SELECT rid, min(seen) AS cluster FROM walk GROUP BY rid)"
 )
 
 
