@@ -3,7 +3,8 @@
 A page is cut into blocks. Blocks of one root-to-leaf tag path are taken together: their mean length outside
 links times their punctuation is the path's ratio. Ratios are smoothed over paths that are close in the tree,
 so a headline beside long paragraphs counts with them; own and smoothed ratio are fused by their geometric
-mean, and paths below a share of the best one are dropped.
+mean, and paths below a share of the best one are dropped, on every page. Inside an article or main element a
+path counts at least its smoothed ratio.
 Elements that name themselves as navigation, advert, form, comment and the like never take part.
 """
 
@@ -171,21 +172,19 @@ def smoothed(ratios: dict[tuple[str, ...], float], width: float = 1.0) -> dict[t
 
 
 def main_text(page: str, share: float = 0.05, width: float = 1.0) -> str:
-    """The blocks on content paths, joined by newlines. Where the page marks an article or main element, its
-    blocks alone are candidates, and only paths made of links are dropped."""
+    """The blocks on content paths, joined by newlines; paths made of links are dropped."""
     blocks = blocks_of(page)
-    marked = [b for b in blocks if b.inside]
-    blocks = marked or blocks
     if not blocks:
         return ""
     own = path_ratios(blocks)
-    fused = {p: (own[p] * v) ** 0.5 for p, v in smoothed(own, width).items()}
+    marked = {b.path for b in blocks if b.inside}
+    fused = {p: max(v if p in marked else 0.0, (own[p] * v) ** 0.5) for p, v in smoothed(own, width).items()}
     floor = share * max(fused.values())
     linked, total = defaultdict(int), defaultdict(int)
     for b in blocks:
         linked[b.path] += b.linked
         total[b.path] += len(b.text())
-    wanted = {p for p in fused if 2 * linked[p] <= total[p] and (marked or fused[p] >= floor)}
+    wanted = {p for p in fused if 2 * linked[p] <= total[p] and fused[p] >= floor}
     return "\n".join(b.text() for b in blocks if b.path in wanted)
 
 

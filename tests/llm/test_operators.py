@@ -318,6 +318,14 @@ def test_pages(spark):
     assert html_text.extract(df.filter("false")).count() == 0
 
 
+def test_threshold_decides_on_marked_pages():
+    text = "<div><p>Long text, with clauses, and more of it to read. Yes.</p><p>And another long one, as long as that.</p></div>"
+    want = "Long text, with clauses, and more of it to read. Yes.\nAnd another long one, as long as that."
+    assert html_text.main_text(f"<body>{text}<article><h2>Teaser</h2></article>") == want
+    assert html_text.main_text(f"<body><article>{text}<section><ul><li><b>x</b></ul></section></article>") == want
+    assert html_text.main_text("<body><article><h1>Head line</h1><p>Long text, with clauses, and more of it to read. Yes.</p></article>").startswith("Head line\n")
+
+
 # classifiers
 
 
