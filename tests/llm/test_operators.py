@@ -255,6 +255,12 @@ def test_language_model(spark, docs, odd, empty):
     assert language_model.score(odd, language_model.train(empty)).filter("score > 0").count() == 0
 
 
+def test_language_model_steps_on_every_token(spark, docs):
+    """Each token of a visited text counts once in each of the four feature columns."""
+    model = language_model.train(spark.createDataFrame(docs.head(120)))
+    assert (model["seen"].astype("f8") - 1).sum() == 4 * model["n"]
+
+
 def test_language_model_is_a_distribution(spark):
     """Over every word and the end, and one unseen word a class, probabilities after a context sum to at most 1."""
     text = "a b a c d a b e f. g h, a b"
