@@ -177,6 +177,13 @@ def test_pseudonyms(spark, empty):
     assert pseudonyms.pseudonymise(empty, "k").count() == 0
 
 
+def test_pseudonyms_of_neighbours(spark):
+    """Values side by side are each replaced, and labels may be in capitals."""
+    near = [("+1 (826) 555-4081 190.137.223.204", "phone,ip"), ("4111 1111 1111 1111 12/26", "card"), ("4111 1111 1111 1111 1987-04-30", "card,date"), ("AT611904300234573201 BIC", "iban"), ("TOKEN=e3b3ed3cc8548923d6", "secret")]
+    got = pseudonyms.pseudonymise(spark.createDataFrame(near, "text string, want string"), "k")
+    assert [",".join(p["kind"] for p in r["_private"]) for r in got.collect()] == [want for _, want in near]
+
+
 def test_pseudonyms_permute(spark):
     numbers = spark.range(1000).select(F.concat(F.lit("10.1."), (F.col("id") / 250).cast("int").cast("string"), F.lit("."), (F.col("id") % 250).cast("string")).alias("text"))
     assert pseudonyms.pseudonymise(numbers, "k").select("text").distinct().count() == 1000
