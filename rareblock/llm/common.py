@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..plans import storage
 
-__all__ = ["ascii_lower", "held_out", "settle", "table"]
+__all__ = ["ascii_lower", "free_name", "held_out", "settle", "table"]
 
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 LOWER = UPPER.lower()
@@ -42,6 +42,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def free_name(df: DataFrame, name: str) -> str:
+    """name, with underscores at its end until df has no column of that name in any case."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def ascii_lower(text: Column) -> Column:
     """A-Z to a-z and nothing else, unlike lower(), which follows Unicode."""
     return F.translate(text, UPPER, LOWER)

@@ -23,7 +23,7 @@ ODD = [(1, None, "a"), (2, "", "b"), (3, " \n\t ", None), (4, "the same text her
 def odd(spark):
     """Nulls in every column, empty, blank and very long texts, repeats, and columns named like those made inside."""
     df = spark.createDataFrame(ODD, "doc_id bigint, text string, shard string")
-    return df.withColumns({"size": F.lit("x"), "length": F.lit(1), "rank": F.lit(2), "node": F.lit(3), "bands": F.lit(4), "_values": F.lit(5), "part": F.lit(6), "word": F.lit(7)}).drop("_values")
+    return df.withColumns({"size": F.lit("x"), "length": F.lit(1), "rank": F.lit(2), "node": F.lit(3), "bands": F.lit(4), "_values": F.lit(5), "_typed": F.lit("t"), "_renamed": F.lit(8), "_private": F.lit("own"), "_hit": F.lit(9), "_gone": F.lit(0), "part": F.lit(6), "word": F.lit(7)})
 
 
 @pytest.fixture(scope="module")
