@@ -3,14 +3,16 @@
 The index is sharded by document: a shard holds whole documents, laid end to end with a gap, and for each
 term the sorted list of its positions. It is stored as Parquet in the shared folder, one row per shard of
 bounded size. Phrases are sought in every shard by intersecting offset-adjusted posting lists, beginning
-with the shard's rarest term. The phrases travel in blocks of bounded size; a larger benchmark takes more
-blocks, not a larger broadcast.
+with the shard's rarest term. A shard looks up each of the benchmark's terms once; the phrases that have all
+their terms in the shard are then found by array operations, and only these are intersected. The phrases travel
+in blocks of bounded size; a larger benchmark takes more blocks, not a larger broadcast.
 """
 
 from __future__ import annotations
 
 from collections import defaultdict
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -127,18 +129,43 @@ def windows_of(words: list[bytes], size: int) -> set[tuple[bytes, ...]]:
     return {tuple(words[i : i + size]) for i in range(max(1, len(words) - size + 1))} if words else set()
 
 
-def search(index: DataFrame, items: list[tuple[object, bytes]], window: int = 10, slop: int | None = None) -> DataFrame:
-    """One row per indexed document, from one block of items: shard, place, doc_id, n_words, spans (merged
-    word ranges that are hit) and items (their ids as strings). slop None: exact phrases of ``window`` words;
-    else proximity: every word of the window within slop positions of its rarest one."""
+@dataclass
+class Phrases:
+    """Distinct phrases of a block of items as rows of term numbers."""
+
+    terms: list[bytes]
+    grid: np.ndarray  # (phrases, longest), -1 after a phrase's end
+    owners: list[list[str]]  # the items of each phrase
+
+    @classmethod
+    def of(cls, items: list[tuple[object, bytes]], window: int) -> Phrases:
+        found: dict[tuple[bytes, ...], list[str]] = defaultdict(list)
+        for item, text in items:
+            for run in windows_of(words_of(text or b""), window):
+                found[run].append(str(item))
+        number: defaultdict[bytes, int] = defaultdict()
+        number.default_factory = number.__len__
+        grid = np.full((len(found), max(map(len, found), default=1)), -1, "i4")
+        for row, run in zip(grid, found, strict=True):
+            row[: len(run)] = [number[w] for w in run]
+        return cls(list(number), grid, list(found.values()))
+
+    def possible(self, shard: Shard, rows: int = 100_000) -> Iterator[tuple[tuple[bytes, ...], list[str]]]:
+        """The phrases all of whose terms are in the shard, with their items."""
+        there = np.array([t in shard.number for t in self.terms] + [True])  # -1 reads the last
+        for start in range(0, len(self.grid), rows):
+            for p in (np.flatnonzero(there[self.grid[start : start + rows]].all(1)) + start).tolist():
+                yield tuple(self.terms[t] for t in self.grid[p].tolist() if t >= 0), self.owners[p]
+
+
+def search(index: DataFrame, items: list[tuple[object, bytes]], window: int = 10, slop: int | None = None, only_hit: bool = False) -> DataFrame:
+    """One row per indexed document, or with ``only_hit`` per document that is hit, from one block of items: shard,
+    place, doc_id, n_words, spans (merged word ranges that are hit) and items (their ids as strings). slop None:
+    exact phrases of ``window`` words; else proximity: every word of the window within slop positions of its
+    rarest one."""
     if slop is not None and 2 * slop >= GAP:
         raise ValueError(f"slop must be below {GAP // 2}")
-    phrases: dict[tuple[bytes, ...], list[str]] = defaultdict(list)
-    for item, text in items:
-        for run in windows_of(words_of(text or b""), window):
-            phrases[run].append(str(item))
-    # A phrase's longest word is seldom common: a shard that lacks it is done with the phrase at once.
-    shipped = index.sparkSession.sparkContext.broadcast([(max(run, key=len), run, owners) for run, owners in phrases.items()])
+    shipped = index.sparkSession.sparkContext.broadcast(Phrases.of(items, window))
     id_type = index.schema["docs"].dataType.elementType.simpleString()
     schema = f"shard string, place int, doc_id {id_type}, n_words long, spans array<struct<begin:int,stop:int>>, items array<string>"
 
@@ -147,22 +174,20 @@ def search(index: DataFrame, items: list[tuple[object, bytes]], window: int = 10
             for i in range(batch.num_rows):
                 row = {name: batch.column(name)[i] for name in batch.schema.names}
                 shard = Shard(*(row[k].as_py() for k in ("n_words", "starts", "terms", "ends", "positions")))
-                n = len(shard.n_words)
-                spans, items_of = [[] for _ in range(n)], [set() for _ in range(n)]
-                for probe, words, owners in shipped.value:
-                    if probe not in shard.number:
-                        continue
+                spans, items_of = defaultdict(list), defaultdict(set)
+                for words, owners in shipped.value.possible(shard):
                     found = [(int(b), int(b) + len(words)) for b in shard.phrase(words)] if slop is None else shard.near(words, slop)
                     for begin, stop in found:
                         d = int(np.searchsorted(shard.starts, begin, "right")) - 1
                         spans[d].append((begin - int(shard.starts[d]), stop - int(shard.starts[d])))
                         items_of[d].update(owners)
-                ids = row["docs"].values
+                places = sorted(spans) if only_hit else range(len(shard.n_words))
+                at = np.array(places, "i8")
                 yield pa.RecordBatch.from_arrays(
                     [
-                        pa.array([row["shard"].as_py()] * n), pa.array(range(n), pa.int32()), ids, pa.array(shard.n_words.astype("i8")),
-                        pa.array([[{"begin": b, "stop": e} for b, e in merged(s)] for s in spans], pa.list_(pa.struct([("begin", pa.int32()), ("stop", pa.int32())]))),
-                        pa.array([sorted(s) for s in items_of], pa.list_(pa.string())),
+                        pa.array([row["shard"].as_py()] * len(at), pa.string()), pa.array(at, pa.int32()), row["docs"].values.take(pa.array(at)), pa.array(shard.n_words[at].astype("i8")),
+                        pa.array([[{"begin": b, "stop": e} for b, e in merged(spans[d])] if d in spans else [] for d in places], pa.list_(pa.struct([("begin", pa.int32()), ("stop", pa.int32())]))),
+                        pa.array([sorted(items_of[d]) if d in spans else [] for d in places], pa.list_(pa.string())),
                     ],
                     ["shard", "place", "doc_id", "n_words", "spans", "items"],
                 )
@@ -190,7 +215,8 @@ def covered(spans: Column) -> Column:
 def find_contamination(docs: DataFrame, benchmark: DataFrame, window: int = 10, slop: int | None = None, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", block_bytes: int = 4_000_000) -> DataFrame:
     """One row per document: doc_id, n_words, spans, items. Null texts and ids are allowed; repeated rows give
     repeated results; with an empty benchmark no document is hit. Items go out in blocks of about
-    ``block_bytes`` of text, each collected and broadcast alone."""
+    ``block_bytes`` of text, each collected and broadcast alone; the first returns all documents, later ones
+    those that they hit."""
     index = settle(build_index(docs, id_col, text_col), "postings")
     items = benchmark.select(F.col(item_col).alias("item"), F.coalesce(F.col(item_text_col), F.lit("")).cast("binary").alias("text"))
     total = items.agg(F.coalesce(F.sum(F.octet_length("text") + 64), F.lit(0))).first()[0]
@@ -198,7 +224,7 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, window: int = 10,
     parts = []
     for b in range(blocks):
         chosen = items if blocks == 1 else items.filter(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == b)
-        parts.append(settle(search(index, [(r["item"], bytes(r["text"])) for r in chosen.collect()], window, slop), "hits", batch_rows=2))
+        parts.append(settle(search(index, [(r["item"], bytes(r["text"])) for r in chosen.collect()], window, slop, only_hit=b > 0), "hits", batch_rows=2))
     if blocks == 1:
         return parts[0].select("doc_id", "n_words", "spans", "items")
     found = parts[0]
@@ -218,8 +244,10 @@ def digest(found: DataFrame) -> DataFrame:
     )
 
 
-def drop_contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", **how) -> DataFrame:
-    """The documents no window of the benchmark occurs in. Rows with a null id are judged like others only if
-    their id is unique, so ids should be; here a null id stays unless a document with a null id is hit."""
-    hit = find_contamination(docs, benchmark, id_col=id_col, **how).filter(F.size("spans") > 0).select(F.col("doc_id").alias("_hit")).distinct()
-    return docs.join(hit, docs[id_col].eqNullSafe(hit["_hit"]), "left_anti")
+def drop_contaminated(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", **how) -> DataFrame:
+    """The documents no window of the benchmark occurs in, all columns. A row is judged by its own text, whatever
+    its id, so null and repeated ids lose nothing; rows of one text have one verdict. A null text stays."""
+    content = F.md5(docs[text_col].cast("binary"))
+    hit = find_contamination(docs.select(content.alias("content"), F.col(text_col).alias("text")), benchmark, id_col="content", **how)
+    hit = hit.filter("size(spans) > 0").select("doc_id").distinct()
+    return docs.join(hit, content == hit["doc_id"], "left_anti")

@@ -137,10 +137,36 @@ def test_decontamination_odd_rows(spark, odd, empty):
     got = {(r["doc_id"], r["n_words"]): r for r in decontamination.digest(decontamination.find_contamination(odd, items)).collect()}
     assert got[4, 7]["n_hit"] == 3 and got[4, 7]["n_items"] == 1 and got[1, 0]["n_hit"] == 0
     assert got[8, 30_000]["n_hit"] == 30_000 and got[1, 0]["items_sha256"] == hashlib.sha256(b"").hexdigest()
-    assert decontamination.find_contamination(odd, items, block_bytes=1).agg(F.sum(decontamination.covered(F.col("spans")))).first()[0] == sum(r["n_hit"] for r in got.values()) + 3
+    assert decontamination.find_contamination(odd, items, block_bytes=150).agg(F.sum(decontamination.covered(F.col("spans")))).first()[0] == sum(r["n_hit"] for r in got.values()) + 3
     assert decontamination.find_contamination(empty, items).count() == 0
     assert decontamination.find_contamination(odd, items.filter("false")).filter("size(spans) > 0").count() == 0
-    assert decontamination.drop_contaminated(odd, items).count() == len(ODD) - 4
+    assert decontamination.drop_contaminated(odd, items).count() == len(ODD) - 4 and decontamination.drop_contaminated(odd, items).columns == odd.columns
+    without = spark.createDataFrame([(None, "same text here"), (None, "another one"), (None, None), (1, "a"), (1, "x same text here")], "doc_id bigint, text string")
+    assert sorted(decontamination.drop_contaminated(without, items).collect(), key=repr) == sorted([(None, "another one"), (None, None), (1, "a")], key=repr)
+
+
+def test_decontamination_against_brute_force(spark):
+    """Items of all lengths, over one another and many to a text, in one block and in several."""
+    rng = np.random.default_rng(11)
+    some = lambda n: " ".join(f"w{k}" for k in rng.integers(0, 4, n))
+    texts = [some(n) for n in rng.integers(0, 60, 80)]
+    items = [some(n) for n in (1, 2, 3, 5, 5, 7, 4, 0)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").repartition(3)
+    bench = spark.createDataFrame(list(enumerate(items)), "item_id bigint, text string")
+    want = {}
+    for d, text in enumerate(texts):
+        w, hit, by = text.split(), set(), set()
+        for i, item in enumerate(items):
+            x = item.split()
+            for run in [x[a : a + 4] for a in range(max(1, len(x) - 3))] if x else []:
+                at = [b for b in range(len(w) - len(run) + 1) if w[b : b + len(run)] == run]
+                hit |= {b + k for b in at for k in range(len(run))}
+                by |= {str(i)} if at else set()
+        want[d] = (len(w), len(hit), ",".join(sorted(by)))
+    for block in (1_000_000, 100):
+        found = decontamination.find_contamination(df, bench, window=4, block_bytes=block)
+        got = {r["doc_id"]: (r["n_words"], r["n"], ",".join(r["items"])) for r in found.withColumn("n", decontamination.covered(F.col("spans"))).collect()}
+        assert got == want
 
 
 def test_proximity(spark):
