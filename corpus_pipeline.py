@@ -32,7 +32,7 @@ def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def replace_private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, their private values replaced by pseudonyms of the same format."""
-    found = pseudonyms.pseudonymise(docs, PSEUDONYM_KEY).drop("_private")
+    found = pseudonyms.pseudonymise(docs, PSEUDONYM_KEY, private_col=None)
     return found.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
 
 
