@@ -1,9 +1,9 @@
 """Contiguous shards of near-equal bytes, cut at equal targets of a global prefix sum. SQL functions only.
 
-Rows are ordered by content hash and then id, so copies of a text lie side by side. The order is dealt
-into cells: a cell is a range of hashes, and where a range is hot (one text holds much of the table) its
-rows are dealt further by id hash. Totals per cell give every cell its global start; inside a cell a
-running sum gives each row its own. No task holds more than a cell.
+Rows are ordered by hash range, and in a range by text and then id, so copies of a text lie side by side. The
+order is dealt into cells: a cell is the rows of a range, and a text that alone is much of the table has cells of
+its own, by id hash. Totals per cell give every cell its global start; inside a cell a running sum gives each
+row its own. No task holds more than a cell.
 """
 
 from __future__ import annotations
@@ -14,47 +14,40 @@ from pyspark.sql import functions as F
 from .common import settle
 
 
-def shard_by_bytes(docs: DataFrame, n_shards: int = 8, id_col: str = "doc_id", text_col: str = "text", rows_per_cell: int = 200_000, ranges: int = 1024, parts: int = 64) -> DataFrame:
+def shard_by_bytes(docs: DataFrame, n_shards: int = 8, id_col: str = "doc_id", text_col: str = "text", rows_per_cell: int = 200_000, ranges: int = 1024) -> DataFrame:
     """Every row once: doc_id, size (UTF-8 bytes of the text plus 1; a null text has none), text_crc32, law
     'bytes', shard, slot (from 0 without gaps), grown_shard (null for this law).
 
     Row i goes to the shard in whose share of the total bytes its middle byte falls, so a shard differs from
-    its target by one row at most at either end. Ties in id and text are broken by nothing that matters:
-    such rows are equal. An empty table gives no rows. ``ranges`` and ``parts`` are least numbers of cells;
-    they grow with the rows so that a cell has about ``rows_per_cell``.
+    its target by one row at most at either end, and at most n_shards - 1 texts have copies in two shards or more.
+    Ties in id and text are broken by nothing that matters: such rows are equal. An empty table gives no rows.
+    ``ranges`` is the least number of ranges; it grows with the rows so that one has about ``rows_per_cell``.
     """
-    total_rows = docs.count()
-    ranges, parts = max(ranges, total_rows // rows_per_cell), max(parts, total_rows // rows_per_cell // 16)
     text = F.coalesce(F.col(text_col), F.lit(""))
-    rows = docs.select(
-        F.col(id_col).alias("doc_id"),
-        (F.octet_length(text) + 1).cast("long").alias("size"),
-        F.crc32(text.cast("binary")).alias("text_crc32"),
-        F.xxhash64(text).alias("content"),
-    ).select(
-        "*",
-        F.pmod(F.col("content"), F.lit(ranges)).cast("int").alias("range"),
-        F.pmod(F.xxhash64(F.lit("part"), F.col("doc_id")), F.lit(parts)).cast("int").alias("part"),
-    )
-    cells = rows.groupBy("range", "part").agg(F.sum("size").alias("bytes"), F.count("*").alias("rows"))
-    by_range = cells.groupBy("range").agg(F.sum("rows").alias("in_range"))
-    hot = F.broadcast(by_range.filter(F.col("in_range") > F.lit(max(64, 4 * total_rows // ranges))).select("range", F.lit(True).alias("hot")))  # a quarter of the ranges at most
-    share = lambda df: df.join(hot, "range", "left").withColumn("part", F.when(F.col("hot"), F.col("part")).otherwise(F.lit(0))).drop("hot")
-    merged = share(cells).groupBy("range", "part").agg(F.sum("bytes").alias("bytes"), F.sum("rows").alias("rows"))
-    # Two levels of running sums: within a range over its parts, and over the ranges, whose number is bounded.
-    within = Window.partitionBy("range").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
-    over = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
-    starts = merged.groupBy("range").agg(F.sum("bytes").alias("b"), F.sum("rows").alias("r"))
-    starts = starts.select("range", F.coalesce(F.sum("b").over(over), F.lit(0)).alias("range_bytes"), F.coalesce(F.sum("r").over(over), F.lit(0)).alias("range_rows"))
-    cell_starts = merged.select("range", "part", F.coalesce(F.sum("bytes").over(within), F.lit(0)).alias("cell_bytes"), F.coalesce(F.sum("rows").over(within), F.lit(0)).alias("cell_rows")).join(starts, "range")
-    cell_starts = cell_starts.select("range", "part", (F.col("range_bytes") + F.col("cell_bytes")).alias("bytes_before"), (F.col("range_rows") + F.col("cell_rows")).alias("rows_before"))
-    inside = Window.partitionBy("range", "part").orderBy("content", "doc_id", "text_crc32", "size")
+    # The texts are read once; what follows works on 28 bytes a row.
+    rows = settle(docs.select(F.col(id_col).alias("doc_id"), (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.xxhash64(text).alias("content")), "rows")
+    total_rows = rows.count()
+    ranges = max(ranges, total_rows // rows_per_cell)
+    limit = max(64, 4 * total_rows // ranges)
+    rows = rows.withColumn("range", F.pmod(F.col("content"), F.lit(ranges)).cast("int"))
+    # A quarter of the ranges at most, and so of the texts, have more rows than limit.
+    hot_ranges = rows.groupBy("range").count().filter(F.col("count") > limit).select("range")
+    hot_texts = rows.join(F.broadcast(hot_ranges), "range").groupBy("content").count().filter(F.col("count") > limit)
+    hot_texts = hot_texts.select("content", (F.floor(F.col("count") / limit) + 1).alias("parts"))
+    part = F.coalesce(F.pmod(F.xxhash64(F.lit("part"), F.col("doc_id")), F.col("parts")), F.lit(0)).cast("int")
+    dealt = rows.join(F.broadcast(hot_texts), "content", "left").withColumns({"own": F.when(F.col("parts").isNotNull(), F.col("content")).otherwise(F.lit(0)), "hot": F.col("parts").isNotNull(), "part": part}).drop("parts")
+
+    cell = ["range", "hot", "own", "part"]
+    totals = dealt.groupBy(*cell).agg(F.sum("size").alias("bytes"), F.count("*").alias("rows"))
+    # One running sum over all cells: half as many again as there are ranges at most.
+    before = Window.orderBy(*cell).rowsBetween(Window.unboundedPreceding, -1)
+    starts = totals.select(*cell, F.coalesce(F.sum("bytes").over(before), F.lit(0)).alias("bytes_before"), F.coalesce(F.sum("rows").over(before), F.lit(0)).alias("rows_before"))
+    inside = Window.partitionBy(*cell).orderBy("content", "doc_id", "text_crc32", "size")
     upto = inside.rowsBetween(Window.unboundedPreceding, 0)
-    total = merged.agg(F.coalesce(F.sum("bytes"), F.lit(0)).alias("total"))
+    total = totals.agg(F.coalesce(F.sum("bytes"), F.lit(0)).alias("total"))
     placed = (
-        share(rows)
-        .withColumns({"cum": F.sum("size").over(upto), "nth": F.row_number().over(inside) - 1})
-        .join(cell_starts, ["range", "part"])
+        dealt.withColumns({"cum": F.sum("size").over(upto), "nth": F.row_number().over(inside) - 1})
+        .join(starts, cell)
         .crossJoin(F.broadcast(total))  # one row
         .select(
             "doc_id", "size", "text_crc32",

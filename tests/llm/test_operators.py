@@ -125,8 +125,18 @@ def test_shards(spark, docs, odd, empty):
     check_shards(sharding.shard_by_bytes(odd).collect(), [t for _, t, _ in ODD])
     assert sharding.shard_by_bytes(empty).count() == 0
     same_text = spark.range(3000).select(F.col("id").alias("doc_id"), F.lit("copy").alias("text"))
-    hot = sharding.shard_by_bytes(same_text, rows_per_cell=100, ranges=16, parts=8).collect()
+    hot = sharding.shard_by_bytes(same_text, rows_per_cell=100, ranges=16).collect()
     check_shards(hot, ["copy"] * 3000)
+    with pytest.raises(AssertionError):
+        check_shards([r for r in hot if r["doc_id"] != 7], ["copy"] * 3000)
+
+
+def test_copies_lie_side_by_side(spark):
+    """Two texts in five are one, the rest are groups of four: shard ends cut at most seven groups."""
+    key = F.when(F.col("id") % 5 < 2, F.lit("hot")).otherwise((F.col("id") / 20).cast("int").cast("string"))
+    many = spark.range(20_000).select(F.col("id").alias("doc_id"), F.concat(F.lit("text "), key).alias("text"))
+    got = sharding.shard_by_bytes(many, ranges=64).groupBy("text_crc32").agg(F.count_distinct("shard").alias("shards"), F.collect_list("shard").alias("all")).collect()
+    assert sum(r["shards"] > 1 for r in got) <= 7 and sum(len(r["all"]) for r in got) == 20_000
 
 
 # decontamination
@@ -314,19 +324,44 @@ def test_language_model_is_a_distribution(spark):
 # fingerprints
 
 
+def chains_of(text, chain=2):
+    """The chains as tuples of words: anchor, or nothing at the beginning, and the next words that are no anchors."""
+    words = re.findall("[0-9a-z\x80-\U0010ffff]+", re.sub("[A-Z]", lambda m: m[0].lower(), text))
+    opens = [(None, 0)] + [(w, i + 1) for i, w in enumerate(words) if w in spotsigs.ANCHORS]
+    found = {(w, *[x for x in words[i:] if x not in spotsigs.ANCHORS][:chain]) for w, i in opens}
+    return {c for c in found if len(c) > 1} or ({tuple(words) or text} if text else set())
+
+
 def test_spotsigs(spark, docs, odd, empty):
     got = registry.QUERIES["op3_spotsigs"](spark, MEDIUM).toPandas().sort_values("doc_id", ascending=False)
     texts = docs.sort_values("doc_id", ascending=False).text.tolist()
     edited = [spotsigs.edited_text(a, b) for a, b in zip(texts, texts[1:] + texts[:1], strict=True)]
     assert got.edited_sha256.tolist() == [hashlib.sha256(e.encode()).hexdigest() for e in edited]
+    chains = [chains_of(t) for t in texts]
     sets = [spotsigs.signature_sets([t])[0] for t in texts]
+    assert [len(s) for s in sets] == [len(c) for c in chains]
+    alike = lambda a, b: len(a & b) / len(a | b) if a or b else 1.0
+    assert np.allclose(got.near_edited, [alike(c, chains_of(e)) for c, e in zip(chains, edited, strict=True)])
+    assert np.allclose(got.near_next, [alike(a, b) for a, b in zip(chains, chains[1:] + chains[:1], strict=True)])
     assert got.fingerprint.tolist() == [spotsigs.printed(s) for s in sets]
-    assert np.allclose(got.near_next, [spotsigs.likeness(a, b) for a, b in zip(sets, sets[1:] + sets[:1], strict=True)])
-    assert spotsigs.edited_fingerprints(odd, 4).count() == len(ODD) and spotsigs.edited_fingerprints(empty, 4).count() == 0
-    one = spotsigs.edited_fingerprints(odd.filter("doc_id = 7"), 4).first()
+    assert spotsigs.edited_fingerprints(odd).count() == len(ODD) and spotsigs.edited_fingerprints(empty).count() == 0
+    one = spotsigs.edited_fingerprints(odd.filter("doc_id = 7")).first()
     assert one["near_next"] == 1.0
 
 
+@pytest.mark.parametrize("kind", ["string", "date", "decimal(20,0)", "smallint"])
+def test_spotsigs_of_any_ids(spark, kind):
+    """Ids of any type, null and repeated ones, over many ranges: each row meets the next in the stated order."""
+    from pyspark.sql import Window
+
+    ids = {"string": F.concat(F.lit("d"), "n"), "date": F.date_add(F.lit("2020-01-01").cast("date"), F.col("n").cast("int"))}.get(kind, F.col("n").cast(kind))
+    df = spark.range(60).withColumn("n", F.col("id") % 47).select(F.when(F.col("id") % 6 > 0, ids).alias("doc_id"), F.concat_ws(" ", F.lit("the text of"), F.col("id").cast("string")).alias("text"))
+    order = Window.orderBy(F.col("doc_id").desc_nulls_last(), F.xxhash64("text"), "text")
+    rows = [r["text"] for r in df.withColumn("nth", F.row_number().over(order)).orderBy("nth").collect()]
+    want = sorted(hashlib.sha256(spotsigs.edited_text(a, b).encode()).hexdigest() for a, b in zip(rows, rows[1:] + rows[:1], strict=True))
+    assert sorted(r["edited_sha256"] for r in spotsigs.edited_fingerprints(df, least_parts=7).collect()) == want
+
+
 def test_spotsig_matches(spark, docs):
     prints = spotsigs.fingerprints(table(spark, MEDIUM, "documents"))
     got = {(r["a"], r["b"]) for r in spotsigs.matches(prints, 0.7).collect()}
