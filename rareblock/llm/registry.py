@@ -26,7 +26,7 @@ def op2_maxent_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_spotsigs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spotsigs.edited_fingerprints(table(spark, sf_dir, "documents"), parts=2 * int(spark.conf.get("spark.sql.shuffle.partitions")))
+    return spotsigs.edited_fingerprints(table(spark, sf_dir, "documents"))
 
 
 def op4_tag_path_text(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -16,7 +16,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import settle
@@ -105,57 +105,77 @@ def edited_text(text: str, following: str) -> str:
 
 
 def _ranges(docs: DataFrame, parts: int) -> list:
-    """Ascending bounds that cut the ids into about equal parts."""
-    found = docs.filter("doc_id IS NOT NULL").approxQuantile("doc_id", [i / parts for i in range(1, parts)], 0.1 / parts) if parts > 1 else []
-    return sorted(set(found))
+    """Ascending bounds that cut the ids, of any type with an order, into about equal parts; ids alone are sorted."""
+    if parts < 2:
+        return []
+    ids = docs.filter("doc_id IS NOT NULL").select("doc_id").repartitionByRange(parts, "doc_id")
+    return sorted(r["least"] for r in ids.groupBy(F.spark_partition_id()).agg(F.min("doc_id").alias("least")).collect())[1:]  # a row per range
 
 
-def with_following(docs: DataFrame, run, schema: str, parts: int) -> DataFrame:
+def _above(column: Column, bounds: list) -> Column:
+    """How many bounds are at most the value, by halving."""
+    if not bounds:
+        return F.lit(0)
+    array, start = F.array(*[F.lit(b) for b in bounds]), F.struct(F.lit(0).alias("lo"), F.lit(len(bounds)).alias("hi"))
+
+    def halve(acc: Column, _: Column) -> Column:
+        middle = F.floor((acc["lo"] + acc["hi"]) / 2).cast("int")
+        up = F.get(array, middle) <= column
+        open_ = acc["lo"] < acc["hi"]
+        return F.struct(F.when(open_ & up, middle + 1).otherwise(acc["lo"]).alias("lo"), F.when(open_ & ~up, middle).otherwise(acc["hi"]).alias("hi"))
+
+    return F.aggregate(F.sequence(F.lit(1), F.lit(len(bounds).bit_length())), start, halve, lambda acc: acc["lo"])
+
+
+def with_following(docs: DataFrame, run, schema: str, part_bytes: int = 48_000_000, least_parts: int = 8, most_parts: int = 16_384) -> DataFrame:
     """run(texts, ids, following texts) over the rows in descending order of doc_id, each with the text of the
-    row after it, the last with that of the first. The texts are shuffled once, by range of ids; the first row
-    of each range is found by its id alone and sent to the range before. Equal ids are ordered by text; null
-    ids come last."""
+    row after it, the last with that of the first. The texts are shuffled once, a task per range of ids of about
+    ``part_bytes`` (larger beyond ``most_parts`` ranges); the first row of each range is found by its id alone and
+    sent to the range before. Equal ids are ordered by content hash and text; null ids come last, and as they may
+    be many, in ranges of the hash."""
+    content = F.xxhash64("text")
+    rows, nulls, size = docs.agg(F.count("*"), F.count_if(F.col("doc_id").isNull()), F.sum(F.octet_length("text"))).first()
+    if not rows:
+        return docs.sparkSession.createDataFrame([], schema)
+    parts = min(most_parts, max(least_parts, -(-size // part_bytes)))
     bounds = _ranges(docs, parts)
-    ranged = docs.withColumn("part", F.when(F.col("doc_id").isNull(), F.lit(len(bounds) + 1)).otherwise(F.lit(len(bounds)) - _above(F.col("doc_id"), bounds)))
-    heads = {r["part"]: r["head"] for r in ranged.groupBy("part").agg(F.max("doc_id").alias("head")).collect()}  # a row per range
+    null_parts = -(-nulls * parts // rows)
+    null_part = F.floor((content / F.lit(2.0**64) + 0.5) * null_parts)
+    part = F.when(F.col("doc_id").isNull(), len(bounds) + 1 + F.least(null_part, F.lit(max(0, null_parts - 1)))).otherwise(F.lit(len(bounds)) - _above(F.col("doc_id"), bounds))
+    ranged = docs.select("doc_id", "text", part.cast("int").alias("part"), F.when(F.col("doc_id").isNull(), content).alias("hash"))
+    heads = {r["part"]: (r["id"], r["hash"]) for r in ranged.groupBy("part").agg(F.max("doc_id").alias("id"), F.min("hash").alias("hash")).collect()}  # a row per range
     present = sorted(heads)
-    if not present:
-        return docs.sparkSession.createDataFrame([], schema)
     before = {p: present[i - 1] for i, p in enumerate(present)}
-    spark = docs.sparkSession
-    targets = spark.createDataFrame([(p, heads[p], before[p]) for p in present], f"head_part int, head {docs.schema['doc_id'].dataType.simpleString()}, to_part int")
-    firsts = ranged.join(F.broadcast(targets), (F.col("part") == F.col("head_part")) & F.col("doc_id").eqNullSafe(F.col("head")))
-    firsts = firsts.groupBy("to_part", "doc_id").agg(F.min("text").alias("text")).select("doc_id", "text", F.col("to_part").alias("part"), F.lit(1).alias("edge"))
+    targets = docs.sparkSession.createDataFrame([(p, *heads[p], before[p]) for p in present], f"head_part int, head_id {docs.schema['doc_id'].dataType.simpleString()}, head_hash long, to_part int")
+    at_head = (F.col("part") == F.col("head_part")) & F.col("doc_id").eqNullSafe(F.col("head_id")) & F.col("hash").eqNullSafe(F.col("head_hash"))
+    # Of the rows of a range's first id, the first: least content hash, then least text.
+    firsts = ranged.join(F.broadcast(targets), at_head).groupBy("to_part").agg(F.min(F.struct(content.alias("c"), F.col("text"))).alias("f"), F.first("doc_id").alias("doc_id"))
+    firsts = firsts.select("doc_id", F.col("f.text").alias("text"), F.col("to_part").alias("part"), F.lit(1).alias("edge"))
     both = ranged.select("doc_id", "text", "part", F.lit(0).alias("edge")).unionByName(firsts)
-    ordered = both.repartition(parts, "part").sortWithinPartitions("part", "edge", F.col("doc_id").desc_nulls_last(), "text")
+    ordered = both.repartitionById(max(present) + 1, "part").sortWithinPartitions("part", "edge", F.col("doc_id").desc_nulls_last(), F.xxhash64("text"), "text")
 
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []
         for batch in batches:
+            kind = batch.schema.field(0).type
             for start in range(0, batch.num_rows, 400):
                 held += zip(*(batch.column(i).slice(start, 400).to_pylist() for i in range(4)), strict=True)
                 if len(held) > 1:
-                    yield from run(held)
+                    yield from run(held, kind)
                     held = held[-1:]
 
     return ordered.select("doc_id", "text", "part", "edge").mapInArrow(go, schema)
 
 
-def _above(column, bounds: list):
-    """How many bounds are at most the value."""
-    if not bounds:
-        return F.lit(0)
-    return F.size(F.filter(F.array(*[F.lit(b) for b in bounds]), lambda b: b <= column))
-
-
-def edited_fingerprints(docs: DataFrame, parts: int, id_col: str = "doc_id", text_col: str = "text", chain: int = 2, distance: int = 1) -> DataFrame:
+def edited_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chain: int = 2, distance: int = 1, **how) -> DataFrame:
     """doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited and near_next of every row.
     The edited text is edited_text() with the next row's. A null text counts as empty; an empty text's
-    fingerprint is empty and like another empty one only."""
+    fingerprint is empty and like another empty one only. Ids may be of any type with an order, null or repeated.
+    ``how`` goes to with_following()."""
     id_type = docs.schema[id_col].dataType.simpleString()
     schema = f"doc_id {id_type}, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
 
-    def run(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
+    def run(rows: list[tuple], kind: pa.DataType) -> Iterator[pa.RecordBatch]:
         hashes = _Marked()
         texts = [r[1] for r in rows]
         sets = signature_sets(texts, chain, distance, hashes)
@@ -164,7 +184,7 @@ def edited_fingerprints(docs: DataFrame, parts: int, id_col: str = "doc_id", tex
         changed = signature_sets(edited, chain, distance, hashes)
         yield pa.RecordBatch.from_arrays(
             [
-                pa.array([rows[i][0] for i in use], pa_type), pa.array([len(texts[i]) for i in use], pa.int64()),
+                pa.array([rows[i][0] for i in use], kind), pa.array([len(texts[i]) for i in use], pa.int64()),
                 pa.array([hashlib.sha256(e.encode()).hexdigest() for e in edited], pa.string()),
                 pa.array([printed(sets[i]) for i in use], pa.string()), pa.array([printed(s) for s in changed], pa.string()),
                 pa.array([likeness(sets[i], s) for i, s in zip(use, changed, strict=True)], pa.float64()),
@@ -173,9 +193,8 @@ def edited_fingerprints(docs: DataFrame, parts: int, id_col: str = "doc_id", tex
             ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"],
         )
 
-    pa_type = {"bigint": pa.int64(), "int": pa.int32(), "string": pa.string()}[id_type]
     named = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    return with_following(named, run, schema, parts)
+    return with_following(named, run, schema, **how)
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chain: int = 2, distance: int = 1) -> DataFrame:
