@@ -306,19 +306,51 @@ def test_language_model_steps_on_every_token(spark, docs):
 
 def test_language_model_is_a_distribution(spark):
     """Over every word and the end, and one unseen word a class, probabilities after a context sum to at most 1."""
-    text = "a b a c d a b e f. g h, a b"
+    text = "a b a c d a b e f. g h, a b k l m n o p q r s a b q r s t"
     model = language_model.train(spark.createDataFrame([(i, text) for i in range(30)], "doc_id bigint, text string"))
     known = model["classes"].packed()
     vocabulary = sorted({w for w in text.encode().split()}) + [b"\n"]
-    rows, _, _ = language_model.context_rows(np.array([known[b"a"], known[b"b"], known[b"\n"]], "i8"), np.array([0]))
-    z = language_model._logits(model["weights"], model["bias"], rows[2:3])
-    p = np.exp(z)[0] / np.exp(z).sum()
-    total = p[1]
     count = Counter(text.encode().split() * 30 + [b"\n"] * 30)
-    for w in vocabulary:
-        c = known[w] >> 20 & 255
-        total += p[c] * (1 if c < language_model._FIRST else (count[w] + 1) / (model["class_n"][c] + model["class_v"][c] + 1))
-    assert 0.9 < total <= 1.000001
+    changed = 0
+    for x, y in ((b"a", b"b"), (b"q", b"r"), (b"b", b"a")):
+        rows, _, _ = language_model.context_rows(np.array([known[x], known[y], known[b"\n"]], "i8"), np.array([0]))
+        z = language_model._logits(model["weights"], model["bias"], rows[2:3])
+        p = np.exp(z)[0] / np.exp(z).sum()
+        total = p[1]
+        for w in vocabulary:
+            c = known[w] >> 20 & 255
+            key = ((known[y] & language_model.PLACE) << 25) | (c << 20) | (known[w] & language_model.PLACE)
+            factor = np.exp(model["pairs"].log_factor(np.array([key]))[0])
+            changed += c >= language_model._FIRST and factor != 1
+            total += p[c] * (1 if c < language_model._FIRST else factor * (count[w] + 1) / (model["class_n"][c] + model["class_v"][c] + 1))
+        assert 0.85 < total <= 1.000001
+    assert changed > 0
+
+
+def test_context_tells_words_of_a_class_apart(spark):
+    """Words with one ending, and so of one class: each is likelier after the word it follows."""
+    rng = np.random.default_rng(8)
+    pairs = [("red", "apples"), ("blue", "plumes"), ("green", "shades"), ("old", "times")]
+    rows = [(i, " ".join(" ".join(pairs[j]) for j in rng.integers(0, 4, 40))) for i in range(200)]
+    model = language_model.train(spark.createDataFrame(rows, "doc_id bigint, text string"))
+    tests = spark.createDataFrame([(i, f"{x} {y}") for i, (x, y) in enumerate((a, b) for a, _ in pairs for _, b in pairs)], "doc_id bigint, text string")
+    score = {r["doc_id"]: r["score"] for r in language_model.score(tests, model).collect()}
+    assert all(max(range(4), key=lambda j: score[4 * i + j]) == i for i in range(4))
+
+
+def test_pair_weights_reach_their_optimum():
+    """Under the penalty a pair's share of its context is its count less the discount, over all."""
+    plain = np.array([0.0, 0.01, 0.02, 0.3, 0.05])
+    key = lambda before, place: (before << 25) | (12 << 20) | place
+    keys = np.array([key(1, 0), key(1, 1), key(1, 2), key(1, 3), key(2, 1), key(2, 4)])
+    counts = np.array([50, 30, 2, 18, 1, 9])
+    got, weights = language_model.pair_weights(keys, counts, plain, 2)
+    table = language_model.PairTable(got, weights, plain)
+    share = plain[got & language_model.PLACE] * np.exp(table.log_factor(got))
+    assert got.tolist() == [key(1, 1), key(2, 4)] and np.allclose(share, [29.25 / 100, 8.25 / 10], rtol=1e-4)
+    whole = sum(plain[p] * np.exp(table.log_factor(np.array([key(1, p)]))[0]) for p in range(1, 5))
+    rest = (1 - plain.sum()) * np.exp(table.log_factor(np.array([key(1, 0)]))[0])
+    assert abs(whole + rest - 1) < 1e-5
 
 
 # fingerprints
