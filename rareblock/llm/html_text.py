@@ -4,8 +4,9 @@ A page is cut into blocks. Blocks of one root-to-leaf tag path are taken togethe
 links times their punctuation is the path's ratio. Ratios are smoothed over paths that are close in the tree,
 so a headline beside long paragraphs counts with them; own and smoothed ratio are fused by their geometric
 mean, and paths below a share of the best one are dropped, on every page. Inside an article or main element a
-path counts at least its smoothed ratio.
-Elements that name themselves as navigation, advert, form, comment and the like never take part.
+path counts at least its smoothed ratio. A name that tells of navigation, adverts, notices, comments and the like
+makes the ratios of all paths under its element small; it bans nothing by itself, and says nothing where the
+element holds most of the page's text and no article without such a name is beside it. Elements whose tag has such a meaning, and hidden ones, never take part.
 """
 
 from __future__ import annotations
@@ -15,14 +16,19 @@ import re
 from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<[!?][^>]*(?:>|$)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|$)", re.S)
-_ATTRIBUTE = re.compile(r"\b(class|id|role|aria-label|hidden|style)\s*(?:=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
+# A quoted value may hold tags only if white space or the tag's end follows it; a quote that is never closed is a
+# character like others. No choice is taken back, so a tag is read in one pass.
+_VALUE = r"(?:\"[^\"<>]*+\"|'[^'<>]*+'|\"[^\"]*+\"(?=[\s/>])|'[^']*+'(?=[\s/>])|[^\s>\"'][^\s>]*+)"
+_NAMED = rf"[^\s/>][^\s/>=]*+(?:\s*+=\s*+{_VALUE})?+"
+_TOKEN = re.compile(rf"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<[!?][^>]*(?:>|$)|</(?:[^a-zA-Z>][^>]*)?>|<(/?)([a-zA-Z][^\s/>]*+)((?:[\s/]++|{_NAMED})*+)(?:>|$)", re.S)
+_ATTRIBUTE = re.compile(rf"([^\s/>][^\s/>=]*+)(?:\s*+=\s*+({_VALUE}))?+")
 
 # Element names of HTML by what they mean here.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -42,42 +48,71 @@ _WORDS = re.compile(r"[a-z]+")
 _SPLIT_CASE = re.compile(r"(?<=[a-z0-9])(?=[A-Z])")
 
 
+#: Names of reader comments, which are not text of the page however long they are.
+READERS = frozenset("comment comments commentlist respond reply replies disqus".split())
+#: What is left of a ratio under an element with such a name; of one paragraph in an article, by its own name.
+HINTED, HINTED_PART = 0.0001, 0.2
+PARTS = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre li dt dd td th figcaption".split())
+
+
+@dataclass
+class Hint:
+    """An element with a telling name, and the weight of the text under it."""
+
+    factor: float
+    readers: bool
+    mass: float = 0.0
+
+
 @dataclass
 class Block:
-    path: tuple[str, ...]
+    tags: tuple[str, ...]
     inside: bool  # of an article or main element
+    hints: tuple[Hint, ...] = ()
+    weight: float = 1.0
     parts: list[str] = field(default_factory=list)
     linked: int = 0
 
+    @property
+    def path(self) -> tuple:
+        """The tags, and apart from others of the same tags where names make it count less."""
+        return (*self.tags, self.weight)
+
+    @cached_property
     def text(self) -> str:
         return " ".join(html.unescape("".join(self.parts)).split())
 
+    def mass(self) -> float:
+        return max(0, len(self.text) - self.linked) * (1 + len(_PUNCTUATION.findall(self.text)))
+
 
-def _unwanted(tag: str, attributes: str, inside: bool) -> bool:
+def _judged(tag: str, attributes: str, inside: bool) -> tuple[bool, Hint | None]:
+    """Whether an element is banned by tag or hidden, and what its names hint at."""
     if tag in NEVER or (tag == "header" and not inside):
-        return True
-    if not attributes or tag in ("html", "body", "article", "main") and "comment" not in attributes:
-        return False
-    for name, *values in _ATTRIBUTE.findall(attributes):
-        value = next((v for v in values if v), "")
-        name = name.lower()
+        return True, None
+    hint = None
+    for name, value in _ATTRIBUTE.findall(attributes):
+        name, value = name.lower(), value.strip("\"'")
         if name == "hidden" or name == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value):
-            return True
-        if name in ("class", "id", "role") and HINTS & set(_WORDS.findall(_SPLIT_CASE.sub(" ", value).lower())):
-            return True
-    return False
+            return True, None
+        if name in ("class", "id", "role"):
+            told = HINTS & set(_WORDS.findall(_SPLIT_CASE.sub(" ", value).lower()))
+            if told & READERS or told and tag not in ("html", "body", "article", "main"):
+                hint = Hint(HINTED_PART if inside and tag in PARTS and not told & READERS else HINTED, bool(told & READERS))
+    return False, hint
 
 
 def blocks_of(page: str) -> list[Block]:
-    """Blocks of text in page order, without those of unwanted elements. Markup may be unclosed or cut off."""
-    stack: list[tuple[str, str, bool]] = []  # name, label in the path, unwanted
+    """Blocks of text in page order, without those of banned elements, with their weights. Markup may be unclosed or
+    cut off."""
+    stack: list[tuple[str, bool, Hint | None]] = []  # name, banned, what it hints at
     out: list[Block] = []
     current: Block | None = None
     banned = inside = links = 0
 
     def pop() -> None:
         nonlocal banned, inside, links
-        name, _, bad = stack.pop()
+        name, bad, _ = stack.pop()
         banned -= bad
         inside -= name in ("article", "main")
         links -= name == "a"
@@ -98,7 +133,7 @@ def blocks_of(page: str) -> list[Block]:
         if current is None:
             if not text.strip():
                 return
-            current = Block(tuple(label for name, label, _ in stack if name not in INLINE), inside > 0)
+            current = Block(tuple(name for name, _, _ in stack if name not in INLINE), inside > 0, tuple(h for _, _, h in stack if h))
             out.append(current)
         current.parts.append(text)
         if links:
@@ -137,37 +172,48 @@ def blocks_of(page: str) -> list[Block]:
             close_upto(_END_BEFORE[tag], _LIST_WALL[tag])
         if tag == "body" or stack and stack[-1][0] == "head" and tag not in RAW | VOID:
             close_upto({"head"}, set())
-        bad = _unwanted(tag, m[3], inside > 0)
-        stack.append((tag, tag, bad))
+        bad, hint = _judged(tag, m[3], inside > 0)
+        stack.append((tag, bad, hint))
         banned += bad
         inside += tag in ("article", "main")
         links += tag == "a"
-    return [b for b in out if b.text()]
-
-
-def path_ratios(blocks: list[Block]) -> dict[tuple[str, ...], float]:
-    """Mean length outside links times one and mean punctuation, of each path's blocks."""
+    out = [b for b in out if b.text]
+    for b in out:
+        for h in b.hints:
+            h.mass += b.mass()
+    half = sum(b.mass() for b in out) / 2
+    plain_article = any(b.inside and not b.hints for b in out)
+    for b in out:
+        for h in b.hints:
+            b.weight *= h.factor if h.readers or plain_article or h.mass <= half else 1.0
+    return out
+
+
+def path_ratios(blocks: list[Block]) -> dict[tuple, float]:
+    """Mean length outside links times one and mean punctuation, of each path's blocks, times the path's weight."""
     length, marks, many = defaultdict(float), defaultdict(float), defaultdict(int)
     for b in blocks:
-        text = b.text()
-        length[b.path] += max(0, len(text) - b.linked)
-        marks[b.path] += len(_PUNCTUATION.findall(text))
+        length[b.path] += max(0, len(b.text) - b.linked)
+        marks[b.path] += len(_PUNCTUATION.findall(b.text))
         many[b.path] += 1
-    return {p: length[p] / many[p] * (1 + marks[p] / many[p]) for p in many}
+    return {p: p[-1] * length[p] / many[p] * (1 + marks[p] / many[p]) for p in many}
 
 
-def smoothed(ratios: dict[tuple[str, ...], float], width: float = 1.0) -> dict[tuple[str, ...], float]:
-    """Gaussian means over the distance between paths: steps up to the common element and down."""
+def smoothed(ratios: dict[tuple, float], width: float = 1.0) -> dict[tuple, float]:
+    """Gaussian means over the distance between paths: steps up to the common element and down. Paths that names make
+    count less take their share of what others give them."""
     paths = list(ratios)
     if not paths:
         return {}
 
-    def distance(a: tuple[str, ...], b: tuple[str, ...]) -> int:
+    def distance(a: tuple, b: tuple) -> int:
+        a, b = a[:-1], b[:-1]
         same = next((i for i, (x, y) in enumerate(zip(a, b, strict=False)) if x != y), min(len(a), len(b)))
         return len(a) + len(b) - 2 * same
 
     near = np.exp(-np.array([[distance(a, b) for b in paths] for a in paths]) ** 2 / (2 * width**2))
-    values = near @ np.array([ratios[p] for p in paths]) / near.sum(1)
+    weight = np.array([p[-1] for p in paths])
+    values = weight * (near @ (np.array([ratios[p] for p in paths]) / weight)) / near.sum(1)
     return dict(zip(paths, values.tolist(), strict=True))
 
 
@@ -183,9 +229,9 @@ def main_text(page: str, share: float = 0.05, width: float = 1.0) -> str:
     linked, total = defaultdict(int), defaultdict(int)
     for b in blocks:
         linked[b.path] += b.linked
-        total[b.path] += len(b.text())
+        total[b.path] += len(b.text)
     wanted = {p for p in fused if 2 * linked[p] <= total[p] and fused[p] >= floor}
-    return "\n".join(b.text() for b in blocks if b.path in wanted)
+    return "\n".join(b.text for b in blocks if b.path in wanted)
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:

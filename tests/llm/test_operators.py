@@ -432,6 +432,75 @@ def test_threshold_decides_on_marked_pages():
     assert html_text.main_text("<body><article><h1>Head line</h1><p>Long text, with clauses, and more of it to read. Yes.</p></article>").startswith("Head line\n")
 
 
+LONG = "<p>One long text, with clauses, and more of it. Yes.</p><p>Two is a text, with clauses, and more. Yes.</p>"
+TOLD = "One long text, with clauses, and more of it. Yes.\nTwo is a text, with clauses, and more. Yes."
+
+
+@pytest.mark.parametrize(
+    "page, want",
+    [
+        ("<article><p data-x=it's>Don't stop here, reader, there is more. Yes.</p><p>Second part, as long as that one. Yes.</p></article>", "Don't stop here, reader, there is more. Yes.\nSecond part, as long as that one. Yes."),
+        (f"<article>{LONG.replace('<p>', '<p class="x>', 1)}</article>", TOLD),
+        (f'<article><p class="x" title="a > b <i>" data-y=\'2\'>{LONG[3:]}</article>', TOLD),
+        (f"<article>{LONG}<p class='x", TOLD),
+        (f'<body><div id="legal-notice-article">{LONG}</div></body>', TOLD),
+        (f"<article>{LONG.replace('</p><p>', '</p><p class="search">')}</article>", TOLD),
+        (f'<body><h1>Head</h1><div class="content-widget">{LONG}</div></body>', TOLD),
+        (f'<body><div class="ad">{LONG * 3}</div><article><p>Short one, here.</p></article></body>', "Short one, here."),
+        (f'<body><article>{LONG}</article><div class="comments"><p>{"I beg to differ, dear all. " * 50}</p></div></body>', TOLD),
+        (f"<body><article>{LONG}</ ><p hidden>{TOLD}</p><p style='display: none'>{TOLD}</p></article></body>", TOLD),
+    ],
+)
+def test_odd_markup(page, want):
+    assert html_text.main_text(page) == want
+
+
+def test_pages_against_a_plain_reading(spark):
+    """The query over the whole table against another parser: the blocks of the article, by the standard library."""
+    from html.parser import HTMLParser
+
+    class Reader(HTMLParser):
+        blocks = {"p", "h1", "h2", "h3", "h4", "li", "div", "ul", "ol", "article", "section", "blockquote", "td", "tr", "table", "pre", "figcaption"}
+
+        def __init__(self):
+            super().__init__()
+            self.inside, self.out, self.open = 0, [], True
+
+        def handle_starttag(self, tag, attrs):
+            self.inside += tag == "article"
+            self.open |= tag in self.blocks
+
+        def handle_endtag(self, tag):
+            self.inside -= tag == "article" and self.inside
+            self.open |= tag in self.blocks
+
+        def handle_data(self, data):
+            if self.inside:
+                self.out = self.out + [data] if self.open or not self.out else [*self.out[:-1], self.out[-1] + data]
+                self.open = False
+
+    want = {}
+    for r in table(spark, MEDIUM, "pages").collect():
+        reader = Reader()
+        reader.feed(r["html"])
+        want[r["page_id"]] = [" ".join(x.split()) for x in reader.out]
+    got = {r["page_id"]: r["text"] for r in registry.QUERIES["op4_tag_path_text"](spark, MEDIUM).collect()}
+    assert got.keys() == want.keys() and sum(bool(t) for t in got.values()) == len(got)
+    words = lambda lines: Counter(w for line in lines for w in line.split())
+    for page, text in got.items():
+        ours, theirs = words(text.split("\n")), words(want[page])
+        assert sum((ours - theirs).values()) == 0, page  # nothing from outside the article
+    kept = sum(sum(words(t.split("\n")).values()) for t in got.values()) / sum(sum(words(w).values()) for w in want.values())
+    assert kept > 0.9, kept
+
+
+def test_long_and_repeated_pages(spark):
+    page = f"<html><body><nav>menu</nav><article>{LONG * 5000}</article>"
+    df = spark.createDataFrame([(1, "u", page), (1, "u", page), (2, "v", "<div " * 50_000), (3, "w", "<" * 100_000)], "page_id bigint, url string, html string")
+    got = sorted((r["page_id"], r["n_chars"]) for r in html_text.extract(df).collect())
+    assert got[:2] == [(1, (len(TOLD) + 1) * 5000 - 1)] * 2 and len(got) == 4
+
+
 # classifiers
 
 
