@@ -127,7 +127,7 @@ def _above(column: Column, bounds: list) -> Column:
     return F.aggregate(F.sequence(F.lit(1), F.lit(len(bounds).bit_length())), start, halve, lambda acc: acc["lo"])
 
 
-def with_following(docs: DataFrame, run, schema: str, part_bytes: int = 48_000_000, least_parts: int = 8, most_parts: int = 16_384) -> DataFrame:
+def with_following(docs: DataFrame, run, schema: str, part_bytes: int = 16_000_000, least_parts: int = 8, most_parts: int = 16_384) -> DataFrame:
     """run(texts, ids, following texts) over the rows in descending order of doc_id, each with the text of the
     row after it, the last with that of the first. The texts are shuffled once, a task per range of ids of about
     ``part_bytes`` (larger beyond ``most_parts`` ranges); the first row of each range is found by its id alone and
