@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.cluster import components
-from .common import settle
+from .common import free_name, settle
 
 M, BAND, BASE, RATE, TOP = 128, 4, 1.001, 20.0, 65535
 REMEMBER = 300_000  # words whose hashes a task keeps
@@ -283,6 +283,15 @@ def _cross_links(members: DataFrame, sets: DataFrame, per_cent: int, weight: int
     return ordered.mapInArrow(run, f"a {kind}, b {kind}").distinct()
 
 
+def _with_shared(buckets: DataFrame, shared: DataFrame, hot: int = 1_000) -> DataFrame:
+    """buckets joined with the table of shared bands. A hot band's rows are spread over many tasks and stay there: hot
+    bands, at most 10,000 as they are told by their share of all rows, are broadcast; the others are shuffled."""
+    limit = max(hot, (shared.agg(F.sum("members")).first()[0] or 0) // 10_000)
+    marked = buckets.join(F.broadcast(shared.filter(F.col("members") > limit)), "band", "left")
+    cold = marked.filter("hub IS NULL").select("band", "node", "n_shingles").join(shared.filter(F.col("members") <= limit), "band")
+    return marked.filter("hub IS NOT NULL").select(cold.columns).unionByName(cold)
+
+
 def near_duplicates(docs: DataFrame, k: int = 5, per_cent: int = 80, id_col: str = "doc_id", text_col: str = "text", margin: float = 0.17, weight: int = 200_000) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id (least id reachable over links of
     intersection / union >= per_cent / 100 on k-word shingle sets) and kept (it is that least id).
@@ -299,7 +308,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, per_cent: int = 80, id_col: str
     nodes = settle(full.join(classes, (full["digest"] == classes["digest"]) & (full["doc_id"] == classes["node"]), "inner").select("node", "n_shingles", "registers").dropDuplicates(["node", "registers"]), "nodes")
     buckets = nodes.select("node", "n_shingles", F.explode(bands_of(F.col("registers"))).alias("band"))
     shared = buckets.groupBy("band").agg(F.min("node").alias("hub"), F.count("*").alias("members"), F.min_by("n_shingles", "node").alias("hub_size")).filter("members > 1")
-    buckets = settle(buckets.join(shared, "band"), "buckets")
+    buckets = settle(_with_shared(buckets, settle(shared, "bands")), "buckets")
     alike = lambda x, y: (100 * F.least(x, y) >= per_cent * F.greatest(x, y))  # noqa: E731  sizes that allow the similarity
     floor = per_cent / 100 - margin
 
@@ -330,12 +339,12 @@ def near_duplicates(docs: DataFrame, k: int = 5, per_cent: int = 80, id_col: str
 def keep_one(docs: DataFrame, k: int = 5, per_cent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of docs, all columns, that near_duplicates() keeps. Of rows that share an id one stays, that of
     least text; rows without an id all stay."""
-    gone = near_duplicates(docs, k, per_cent, id_col, text_col).filter("NOT kept").select(F.col("doc_id").alias("_gone"))
-    left = docs.join(gone, docs[id_col] == gone["_gone"], "left_anti")
-    repeated = docs.groupBy(F.col(id_col).alias("_again")).agg(F.count("*").alias("_n")).filter("_n > 1 AND _again IS NOT NULL").select("_again")
+    gone = near_duplicates(docs, k, per_cent, id_col, text_col).filter("NOT kept").select(F.col("doc_id").alias("gone"))
+    left = docs.join(gone, docs[id_col] == gone["gone"], "left_anti")
+    repeated = docs.groupBy(F.col(id_col).alias("again")).count().filter("count > 1 AND again IS NOT NULL").select("again")
     if not repeated.limit(1).count():
         return left
-    single = left.join(repeated, left[id_col] == repeated["_again"], "left_anti")
-    several = left.join(repeated, left[id_col] == repeated["_again"], "left_semi")
-    first = Window.partitionBy(id_col).orderBy(F.col(text_col).asc_nulls_last())
-    return single.unionByName(several.withColumn("_nth", F.row_number().over(first)).filter("_nth = 1").drop("_nth"))
+    single = left.join(repeated, left[id_col] == repeated["again"], "left_anti")
+    several = left.join(repeated, left[id_col] == repeated["again"], "left_semi")
+    first, nth = Window.partitionBy(id_col).orderBy(F.col(text_col).asc_nulls_last()), free_name(docs, "_nth")
+    return single.unionByName(several.withColumn(nth, F.row_number().over(first)).filter(F.col(nth) == 1).drop(nth))
