@@ -143,12 +143,14 @@ def predict(model: dict, x: np.ndarray) -> np.ndarray:
 
 def train(table: DataFrame, labels: DataFrame, max_rows: int = 20_000) -> dict:
     """Fit on labels (doc_id, label) joined with a feature table. Where there are more than max_rows labels, those
-    of least id hash are taken, about max_rows of them, and come to the driver. Null labels and ids are left out."""
-    labels = labels.filter("doc_id IS NOT NULL AND label IS NOT NULL")
+    of least id hash are taken, about max_rows of them, and come to the driver. Null labels and ids are left out; an
+    id counts once, with its greatest label and least row of features."""
+    labels = labels.filter("doc_id IS NOT NULL AND label IS NOT NULL").groupBy("doc_id").agg(F.max("label").alias("label"))
     n = labels.count()
     if n > max_rows:
         labels = labels.filter(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(1_000_000 * max_rows / n))
-    sample = table.join(labels, "doc_id").select(*NAMES, F.col("label").cast("double").alias("label")).toPandas()
+    once = table.join(labels, "doc_id").groupBy("doc_id").agg(F.min(F.struct(*NAMES)).alias("x"), F.max("label").cast("double").alias("label"))
+    sample = once.select("x.*", "label").toPandas()
     return fit(sample[list(NAMES)].to_numpy(), sample["label"].to_numpy())
 
 
