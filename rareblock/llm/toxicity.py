@@ -179,11 +179,13 @@ class Scorer:
 
 
 def _labelled(docs: DataFrame, labels: DataFrame, max_rows: int) -> DataFrame:
-    """Rows (text, label) of a bounded sample: the labelled ids of least hash, about max_rows of them."""
+    """Rows (text, label) of a bounded sample: the labelled ids of least hash, about max_rows of them. An id counts
+    once, with its least text."""
     n = labels.count()
     if n > max_rows:
         labels = labels.filter(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(1_000_000 * max_rows / n))
-    return docs.join(F.broadcast(labels), "doc_id").select("text", "label")  # max_rows ids at most
+    once = docs.join(F.broadcast(labels), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("label").alias("label"))
+    return once.select("text", "label")  # max_rows ids at most
 
 
 def _word_counts(sample: DataFrame) -> DataFrame:
@@ -238,8 +240,10 @@ def _calibrated(value: np.ndarray, label: np.ndarray) -> tuple[float, float]:
 
 def train(docs: DataFrame, labels: DataFrame, max_rows: int = 30_000, candidates: int = 800, others: int = 3_000) -> dict:
     """Fit on rows (doc_id, label) of labels joined with docs (doc_id, text). ``max_rows`` bounds the labelled
-    rows used, ``candidates`` and ``others`` the words sent to the driver. Without both labels every score is
-    the labels' mean."""
+    rows used. ``candidates``, ``others`` and the landmarks bound the machine, whose kernels are solved on the driver:
+    the words it starts from are those that set toxic sentences apart most, and as many ordinary ones by frequency and
+    by chance; after each fit the worst words of clean sentences join them. What is scored is any word of any text.
+    Null labels and ids are left out. Without both labels every score is the labels' mean."""
     labels = labels.filter("doc_id IS NOT NULL AND label IS NOT NULL").groupBy("doc_id").agg(F.max("label").cast("int").alias("label"))
     sample = _labelled(docs, labels, max_rows)
     counts = settle(_word_counts(sample), "words")

@@ -544,3 +544,26 @@ def test_kernel_table_equals_kernels():
     direct = neardup.np.stack([toxicity.decisions(words, toxicity.kernel_table([m], np.ones(1))) for m in marks], 1)
     assert np.allclose(direct, toxicity.kernels(words, marks), atol=1e-5)
     assert toxicity.kernels(["idiiot"], ["idiot"])[0, 0] > 0.4 > toxicity.kernels(["reading"], ["idiot"])[0, 0]
+
+
+def subsequence_kernel(a, b):
+    """By the definition: the vectors of all subsequences of three and of four characters that span at most six
+    places, each place choice weighing DECAY to the power of its span; their product over the words' norms."""
+    from itertools import combinations
+
+    def vector(word):
+        marked, found = f"^{word}$", Counter()
+        for size in (3, 4):
+            for at in combinations(range(len(marked)), size):
+                if at[-1] - at[0] <= toxicity.SPAN:
+                    found["".join(marked[i] for i in at)] += toxicity.DECAY ** (at[-1] - at[0])
+        return found, np.sqrt(sum(toxicity.DECAY ** (2 * (at[-1] - at[0])) for size in (3, 4) for at in combinations(range(len(marked)), size) if at[-1] - at[0] <= toxicity.SPAN))
+
+    (x, nx), (y, ny) = vector(a), vector(b)
+    return sum(x[s] * y[s] for s in x) / nx / ny
+
+
+def test_kernel_against_brute_force():
+    words, marks = ["idiot", "id1ot", "idiiiot", "reading", "x", "ab", "aaaa"], ["idiot", "aaa", "moron"]
+    want = [[subsequence_kernel(w, m) for m in marks] for w in words]
+    assert np.allclose(toxicity.kernels(words, marks), want, atol=1e-4)

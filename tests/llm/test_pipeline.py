@@ -1,11 +1,12 @@
 """The pipeline's stages, each on what the stage before kept."""
 
-from conftest import MEDIUM
+from conftest import MEDIUM, SMALL
 from pyspark.sql import functions as F
 
+
 import corpus_pipeline as pipeline
 from rareblock.llm import decontamination, neardup, pseudonyms
-from rareblock.llm.common import table
+from rareblock.llm.common import settle, table
 
 
 def test_stages(spark, tmp_path):
@@ -32,3 +33,23 @@ def test_stages(spark, tmp_path):
     assert private.join(docs, "doc_id").filter(F.col("text").contains(F.col("m"))).count() == 0
     packed = made.groupBy("doc_id").agg(F.sum("length")).count()
     assert packed == len(kept[3])
+
+
+def test_odd_rows(spark):
+    """Nulls, empties, repeats, null ids and clashing columns go through every stage; what is kept keeps its columns."""
+    texts = ["the same text here again and again, with some more words to it", "another one, jo@example.org and 4111 1111 1111 1111 in it", "", " \n", None, "long " * 20_000]
+    rows = [(1, texts[0], "en"), (2, texts[0], "en"), (2, texts[0], "en"), (3, texts[1], None), (None, texts[1], "en"), (None, "no id", None), (4, texts[2], "a"), (5, texts[3], "b"), (6, None, None), (7, texts[5], "x"), (7, texts[5], "x")]
+    docs = spark.createDataFrame([(i, t, x, None, None if t is None else len(t)) for i, t, x in rows], "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    docs = docs.withColumns({c: F.lit(c) for c in ("_private", "_values", "_typed", "_renamed", "_hit", "_gone", "length", "rank", "node", "size", "content", "again")})
+    columns, seen = docs.columns, [docs.count()]
+    for name, stage in pipeline.STAGES[:-1]:
+        docs = settle(stage(spark, docs, SMALL), name)
+        assert docs.columns == columns
+        seen.append(docs.count())
+    assert seen == [11, 11, 8, 8, 8]  # one of the copies of 1, 2 and 7 stays, and every row without an id
+    kept = docs.collect()
+    assert {r["doc_id"] for r in kept} == {1, 3, None, 4, 5, 6, 7} and all(r["_private"] == "_private" for r in kept)
+    assert not [r for r in kept if r["text"] and "jo@" in r["text"]] and sum(r["text"] is None for r in kept) == 1
+    packed = pipeline.STAGES[-1][1](spark, docs, SMALL)
+    assert {r["doc_id"] for r in packed.select("doc_id").collect()} == {r["doc_id"] for r in kept}
+    assert docs.filter("false").transform(lambda d: pipeline.STAGES[-1][1](spark, d, SMALL)).count() == 0
