@@ -12,10 +12,14 @@ class BlockingConfig:
     parent's records; it is applied in thousandths, so that equality is exact.
 
     counting: 'exact' counts all postings by a shuffle of partial counts; 'sketch' lets a count-min sketch
-    settle most keys first; 'pivot' collects the ids of every key; 'auto' takes the sketch where it pays.
+    settle most keys first, or 'buckets', its form as a table, where the sketch would pass sketch_bytes; 'pivot'
+    collects the ids of every key; 'auto' takes the sketch where it pays and stays within sketch_bytes, else 'exact'.
     membership: how over-counted keys are told from duplicates, 'join' or 'bloom'. shrink_on: whether the
-    shrink test sees the exact size or the sketch's estimate. survivor_store: 'broadcast', 'join' or 'auto'.
+    shrink test sees the exact size or the sketch's estimate. survivor_store: 'broadcast', 'join', 'auto', or 'sketch', which
+    sends a sketch of the survivors' sizes: keys that it takes for survivors go on too, with an estimate of their size.
     pair_dedup: 'shuffle' groups pairs, 'propagate' decides inside blocks, 'auto' by the keys per record.
+    salvage: what becomes of over-size blocks' members that no other over-size block holds: 'none', as published, leaves
+    them uncompared; 'windows' cuts them, in the order of their ids, into blocks of block_cap.
     """
 
     block_cap: int = 500
@@ -25,11 +29,13 @@ class BlockingConfig:
     sketch_eps: float | None = None
     sketch_confidence: float = 0.999
     sketch_seed: int = 42
+    sketch_bytes: int = 256 * 2**20
     membership: str = "join"
     bloom_fpp: float = 1e-8
     shrink_on: str = "exact"
     survivor_store: str = "auto"
     pair_dedup: str = "auto"
+    salvage: str = "none"
     hash: str = "md5"
     max_rounds: int = 64
     checkpoint_dir: str | None = None
@@ -37,7 +43,7 @@ class BlockingConfig:
     broadcast_keys: int = 2_000_000
 
     def __post_init__(self) -> None:
-        choices = {"counting": ("auto", "sketch", "exact", "pivot"), "membership": ("join", "bloom"), "shrink_on": ("exact", "estimate"), "survivor_store": ("auto", "broadcast", "join"), "pair_dedup": ("auto", "propagate", "shuffle"), "hash": ("md5", "xx128")}
+        choices = {"counting": ("auto", "sketch", "buckets", "exact", "pivot"), "salvage": ("none", "windows"), "membership": ("join", "bloom"), "shrink_on": ("exact", "estimate"), "survivor_store": ("auto", "broadcast", "join", "sketch"), "pair_dedup": ("auto", "propagate", "shuffle"), "hash": ("md5", "xx128")}
         for name, allowed in choices.items():
             if getattr(self, name) not in allowed:
                 raise ValueError(f"{name} must be one of {allowed}")

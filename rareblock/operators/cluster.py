@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.storage import settle
+from ..plans.storage import release, settle
 
 
 def _star(edges: DataFrame, large: bool) -> DataFrame:
@@ -32,7 +32,8 @@ def components(links: DataFrame, left: str = "rid1", right: str = "rid2", max_st
     edges = settle(links.filter(a.isNotNull() & b.isNotNull() & (a != b)).select(F.greatest(a, b).alias("a"), F.least(a, b).alias("b")).distinct(), "links")
     mark = None
     for _ in range(max_steps):
-        edges = settle(_star(_star(edges, large=True), large=False), "stars")
+        before, edges = edges, settle(_star(_star(edges, large=True), large=False), "stars")
+        release(before)
         now = edges.agg(F.count("*"), F.coalesce(F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")), F.lit(0))).first()
         if now == mark:
             break

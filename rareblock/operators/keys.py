@@ -63,10 +63,12 @@ def token(columns: list[str | Column], tokenizer: Callable[[Column], Column] = t
     return KeySpec("token", keys)
 
 
-def lsh(value: str | Column, attribute: str, bands: int, width: int, tokenizer: Callable[[Column], Column] = text.words, seed: str = "", share_attribute: bool = False, fast: bool = False) -> KeySpec:
+def lsh(value: str | Column, attribute: str, bands: int, width: int, tokenizer: Callable[[Column], Column] = text.words, seed: str = "", share_attribute: bool = False, fast: bool | None = None) -> KeySpec:
     """One key per band of a MinHash signature. share_attribute drops the attribute from the key, so that bands
-    of two columns may meet on purpose. fast computes minima with numpy over Arrow batches."""
+    of two columns may meet on purpose. fast computes the same minima with numpy over Arrow batches: by default
+    from nine hashes on, where that beats one pass over the tokens per hash."""
     c = F.col(value) if isinstance(value, str) else value
+    fast = bands * width > 8 if fast is None else fast
 
     def keys(how: str, null_as_value: bool) -> Column:
         sig = (minhash.fast_signature if fast else minhash.signature)(tokenizer(c), bands * width, seed)
@@ -94,10 +96,10 @@ def from_long(df: DataFrame, rid: str, key: str) -> DataFrame:
     return df.select(F.col(rid).cast("bigint").alias("rid"), F.col(key).cast("binary").alias("key")).filter("rid IS NOT NULL AND key IS NOT NULL").groupBy("rid").agg(F.collect_set("key").alias("keys"))
 
 
-def autospec(df: DataFrame, rid: str, bands: int = 6, width: int = 7, sample: int = 1000) -> list[KeySpec]:
-    """Identity keys for every column but rid, banded keys for strings whose mean is above two words."""
+def autospec(df: DataFrame, rid: str, bands: int = 6, width: int = 7) -> list[KeySpec]:
+    """Identity keys for every column but rid, banded keys for strings whose mean over all rows is above two words."""
     strings = [f.name for f in df.schema.fields if isinstance(f.dataType, T.StringType) and f.name != rid]
-    means = df.limit(sample).agg(*[F.avg(F.size(text.words(F.col(s)))).alias(s) for s in strings]).first() if strings else {}
+    means = df.agg(*[F.avg(F.size(text.words(F.col(s)))).alias(s) for s in strings]).first() if strings else {}
     return [
         lsh(f.name, f.name, bands, width) if f.name in strings and (means[f.name] or 0) > 2 else identity(f.name, dtype=f.dataType)
         for f in df.schema.fields

@@ -1,7 +1,8 @@
 """Meta-blocking: pairs weighted by the blocks they share, then pruned.
 
-Built as a shuffle of edges. The variant that broadcasts every record's keys is left out on purpose: that
-map grows with the records and outgrows any node.
+Built as a shuffle of edges, of blocks up to a cap; ``purge=None`` asks for all blocks, whose edges grow with the
+square of the largest. broadcast_edges() is the published form, which sends every record's keys to all workers: that map
+grows with the records, so it is refused beyond a size, where the form reported ran out of memory.
 """
 
 from __future__ import annotations
@@ -9,13 +10,15 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.storage import settle
 from . import keys as block_keys
 
 WEIGHTS = ("cbs", "ecbs", "js", "ejs", "arcs", "chi2")
 PRUNES = ("wep", "cep", "wnp", "rwnp", "cnp", "rcnp", "local_max")
+PURGE = 500
 
 
-def block_postings(index: DataFrame, purge: int | None = None, ratio: float | None = None) -> DataFrame:
+def block_postings(index: DataFrame, purge: int | None = PURGE, ratio: float | None = None) -> DataFrame:
     """(rid, key, size) of blocks of two records at least: those above ``purge`` records dropped, then each
     record kept in the smallest ``ratio`` of its blocks, rounded up; ties by key."""
     post = block_keys.postings(index)
@@ -66,6 +69,36 @@ def edges(post: DataFrame, weight: str = "cbs") -> DataFrame:
     return full.select("rid1", "rid2", F.round(w, 9).alias("w"))
 
 
+def _kth(df: DataFrame, c: Column, k: int, ways: int = 1024) -> tuple[object, int]:
+    """(value of c in the k-th row in its order, rows with less): by counts in ever narrower ranges, so that no task
+    sorts and the driver sees ``ways`` rows at a time."""
+    low, high = df.agg(F.min(c), F.max(c)).first()
+    before = 0
+    while low < high:
+        way = F.least(F.lit(ways - 1), F.floor((c - low) / (F.lit(high) - low) * ways))
+        inside = df.filter(c.between(low, high)).groupBy(way.alias("way")).agg(F.count("*").alias("n"), F.min(c).alias("low"), F.max(c).alias("high"))
+        for r in sorted(inside.collect(), key=lambda r: r["way"]):
+            low, high = r["low"], r["high"]
+            if before + r["n"] >= k:
+                break
+            before += r["n"]
+    return low, before
+
+
+def _first_rows(edge: DataFrame, k: int) -> DataFrame:
+    """The first k edges in the order of (w desc, rid1, rid2): those above the weight of the k-th, and of its ties those
+    of less ids."""
+    if k <= 0:
+        return edge.filter("false")
+    if edge.count() <= k:
+        return edge
+    keep, ties = F.lit(False), F.lit(True)
+    for c in (-F.col("w"), F.col("rid1"), F.col("rid2")):
+        value, before = _kth(edge.filter(ties), c, k)
+        keep, ties, k = keep | (ties & (c < value)), ties & (c == value), k - before
+    return edge.filter(keep | ties)
+
+
 def prune(edge: DataFrame, how: str, post: DataFrame | None = None, divisor: float = 4.0) -> DataFrame:
     """Edges that stay. wep: weight at least the mean. cep: the best half as many edges as there are postings.
     wnp / cnp: at least the mean, or among the best k, of either end's edges; rwnp / rcnp: of both ends'.
@@ -74,8 +107,7 @@ def prune(edge: DataFrame, how: str, post: DataFrame | None = None, divisor: flo
         mean = edge.agg(F.round(F.avg("w"), 9).alias("mean"))
         return edge.crossJoin(F.broadcast(mean)).filter("w >= mean").drop("mean")  # one row
     if how == "cep":
-        k = post.count() // 2
-        return edge.orderBy(F.desc("w"), "rid1", "rid2").limit(k)
+        return _first_rows(edge, post.count() // 2)
     ends = edge.select(F.explode(F.array("rid1", "rid2")).alias("node"), "rid1", "rid2", "w")
     if how in ("wnp", "rwnp", "local_max"):
         value = F.max("w") if how == "local_max" else F.round(F.avg("w"), 9)
@@ -92,7 +124,26 @@ def prune(edge: DataFrame, how: str, post: DataFrame | None = None, divisor: flo
     raise ValueError(f"prune must be one of {PRUNES}")
 
 
-def meta_blocking(index: DataFrame, weight: str = "cbs", how: str = "wnp", purge: int | None = None, ratio: float | None = None) -> DataFrame:
+def meta_blocking(index: DataFrame, weight: str = "cbs", how: str = "wnp", purge: int | None = PURGE, ratio: float | None = None) -> DataFrame:
     """(rid1, rid2) after purging, filtering, weighting and pruning."""
     post = block_postings(index, purge, ratio)
-    return prune(edges(post, weight), how, post).select("rid1", "rid2")
+    edge = edges(post, weight)
+    return prune(settle(edge, "edges") if how == "cep" else edge, how, post).select("rid1", "rid2")
+
+
+def broadcast_edges(index: DataFrame, purge: int | None = PURGE, most_bytes: int = 256 * 2**20) -> DataFrame:
+    """edges() with weight cbs as published: blocks are expanded to pairs and both records' keys are looked up in a map
+    sent to every worker, which a pair's least common block then counts once. MemoryError where the map is too large."""
+    post = block_postings(index, purge)
+    entries, records = post.agg(F.count("*"), F.count_distinct("rid")).first()
+    needed = entries * 16 + records * 64
+    if needed > most_bytes:
+        raise MemoryError(f"the keys of {records} records take {needed} bytes on every worker; use edges()")
+    held = post.groupBy("rid").agg(F.collect_set("key").alias("keys"))
+    blocks = post.groupBy("key").agg(F.array_sort(F.collect_list("rid")).alias("rids"))
+    first = blocks.select("key", "rids", F.posexplode("rids").alias("i", "rid1"))
+    pairs = first.select("key", "rid1", F.explode(F.slice("rids", F.col("i") + 2, F.size("rids"))).alias("rid2"))
+    side = lambda n: F.broadcast(held.select(F.col("rid").alias(f"rid{n}"), F.col("keys").alias(f"k{n}")))
+    common = F.array_intersect("k1", "k2")
+    once = pairs.join(side(1), "rid1").join(side(2), "rid2").filter(F.array_min(common) == F.col("key"))
+    return once.select("rid1", "rid2", F.size(common).cast("double").alias("w"))

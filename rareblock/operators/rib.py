@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+import hashlib
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..config import BlockingConfig
-from ..plans.storage import settle, settle_at
+from ..plans.storage import claim, release, settle, settle_at
 from . import keys as block_keys
 from . import pairs as pair_ops
 from . import rounds, sketch
@@ -32,57 +33,83 @@ class Run:
         return self.postings.sparkSession.createDataFrame(self.report, _REPORT)
 
 
-def _counting(cfg: BlockingConfig, n_postings: int) -> str:
-    """A sketch pays once most keys can be settled by it; its width, and so its error, is bounded by memory."""
-    if cfg.counting != "auto":
-        return cfg.counting
-    return "sketch" if n_postings > 50_000_000 and cfg.block_cap / 4 / n_postings > 1e-9 else "exact"
+def sketch_eps(cfg: BlockingConfig, n_postings: int) -> float:
+    """The error, as a share of all postings, that keeps over-counts below a quarter of the cap."""
+    return cfg.sketch_eps or cfg.block_cap / 4 / max(1, n_postings)
+
+
+def counting_of(cfg: BlockingConfig, n_postings: int) -> str:
+    """How a round counts. A sketch pays once most keys can be settled by it, and is of use only while its width keeps
+    the error below the cap; that width grows with the postings, so beyond sketch_bytes 'auto' counts exactly,
+    and 'sketch' takes the table of buckets, which no task holds whole."""
+    fits = sketch.dense_bytes(sketch_eps(cfg, n_postings), cfg.sketch_confidence) <= cfg.sketch_bytes
+    if cfg.counting == "auto":
+        return "sketch" if n_postings > 50_000_000 and fits else "exact"
+    return "buckets" if cfg.counting == "sketch" and not fits else cfg.counting
+
+
+def _stamp(index: DataFrame, cfg: BlockingConfig) -> str:
+    """Digest of settings, columns and rows of a run."""
+    rows = index.agg(F.count("*"), F.coalesce(F.sum(F.xxhash64("rid", F.array_sort("keys")).cast("decimal(38,0)")), F.lit(0))).first()
+    return hashlib.sha256(repr((cfg.but(checkpoint_dir=None), index.schema.json(), *map(str, rows))).encode()).hexdigest()
 
 
 def run(index: DataFrame, cfg: BlockingConfig = BlockingConfig()) -> Run:  # noqa: B008  frozen
     """All rounds over an index (rid, keys). Each round reads a written index, counts its keys with partial
-    aggregates, joins the few over-size keys back, writes the fit postings and the next, smaller index. With a
-    checkpoint_dir, finished steps of an earlier run are read instead of made."""
+    aggregates, joins the few over-size keys back, writes the fit postings and the next, smaller index; the round's
+    other tables are then deleted. With a checkpoint_dir all stay, and finished steps of an earlier run of the same
+    settings over the same index are read instead of made."""
     keep = (lambda df, name: settle_at(df, f"{cfg.checkpoint_dir}/{name}")) if cfg.checkpoint_dir else settle
+    if cfg.checkpoint_dir:
+        claim(index.sparkSession, cfg.checkpoint_dir, _stamp(index, cfg))
     current = keep(rounds.seeded(index), "round-0")
     done = Run(None)
     for t in range(cfg.max_rounds):
-        fit, over, row = _one_round(current, cfg, t, keep)
+        fit, over, row, used = _one_round(current, cfg, t, keep)
+        if cfg.salvage == "windows":
+            fit = fit.unionByName(keep(rounds.windows(over, cfg), f"salvage-{t}"))
         done.postings = fit if done.postings is None else done.postings.unionByName(fit)
         done.report.append(row)
-        if not row[5]:
-            return done
-        current = keep(rounds.intersect(over, cfg), f"round-{t + 1}")
-        if not current.limit(1).count():
+        last = not row[5]
+        before, current = current, None if last else keep(rounds.intersect(over, cfg), f"round-{t + 1}")
+        for table in (before, *used):
+            release(table)
+        if last or not current.limit(1).count():
             return done
     raise RuntimeError(f"over-size blocks are left after {cfg.max_rounds} rounds")
 
 
-def _one_round(current: DataFrame, cfg: BlockingConfig, t: int, keep) -> tuple[DataFrame, DataFrame, tuple]:
-    long_df = current
-    mode = _counting(cfg, long_df.count() if cfg.counting == "auto" else 0)
-    settled = None
-    if mode == "sketch":
-        settled, long_df = rough_split(long_df, cfg)
+def _one_round(current: DataFrame, cfg: BlockingConfig, t: int, keep) -> tuple[DataFrame, DataFrame, tuple, list[DataFrame]]:
+    """Fit postings, postings that go on, the report's row, and the tables that the next index makes needless."""
+    long_df, settled, used = current, None, []
+    mode = counting_of(cfg, long_df.count() if cfg.counting in ("auto", "sketch") else 0)
+    if mode in ("sketch", "buckets"):
+        settled, long_df = rough_split(long_df, cfg.but(counting=mode), keep)
     stats = rounds.pivot_stats(long_df) if mode == "pivot" else rounds.key_stats(long_df)
-    stats = keep(stats.filter("size > 1"), f"stats-{t}") if mode != "sketch" else stats
+    if settled is None:
+        stats = keep(stats.filter("size > 1"), f"stats-{t}")
+        used.append(stats)
     over = keep(rounds.classify(stats, cfg), f"over-{t}")
+    used.append(over)
     n_over, n_pass, n_kept = over.agg(F.count("*"), F.count_if(F.col("kind") != "stalled"), F.count_if(F.col("kind") == "over")).first()
-    n_keys, n_fit = (None, None) if mode == "sketch" else stats.agg(F.count("*"), F.count_if(F.col("size") <= cfg.block_cap)).first()
+    n_keys, n_fit = (None, None) if settled is not None else stats.agg(F.count("*"), F.count_if(F.col("size") <= cfg.block_cap)).first()
     fit, going = split(long_df, over, cfg, n_over)
     if settled is not None:
         fit = fit.unionByName(settled)
     held = going.groupBy("rid").agg(F.count("*").alias("n"))
     cut, lone = held.agg(F.count_if(F.col("n") > cfg.key_cap), F.count_if(F.col("n") == 1)).first()
-    return keep(fit, f"fit-{t}"), going, (t, n_keys, n_fit, n_over, n_pass, n_kept, cut, lone)
+    return keep(fit, f"fit-{t}"), going, (t, n_keys, n_fit, n_over, n_pass, n_kept, cut, lone), used
 
 
-def rough_split(long_df: DataFrame, cfg: BlockingConfig) -> tuple[DataFrame, DataFrame]:
+def rough_split(long_df: DataFrame, cfg: BlockingConfig, keep=settle) -> tuple[DataFrame, DataFrame]:
     """(fit postings, postings of maybe over-size keys) by a sketch, which never counts too few: what it calls
     fit is fit. Keys of estimate 1 are single and leave. With shrink_on 'estimate' keys that look too much like
-    their parent leave here, among them some that the sketch merely over-counted."""
-    total = long_df.count()
-    eps = cfg.sketch_eps or max(1e-8, cfg.block_cap / 4 / max(1, total))
+    their parent leave here, among them some that the sketch merely over-counted. counting 'buckets' has no estimate,
+    only whether it is above the cap, so single keys stay and the shrink test sees exact sizes."""
+    eps = sketch_eps(cfg, long_df.count())
+    if cfg.counting == "buckets":
+        told = sketch.maybe_above(long_df, cfg.block_cap, eps, cfg.sketch_confidence, cfg.broadcast_keys, keep)
+        return told.filter("NOT maybe").select("rid", "key"), told.filter("maybe").select("rid", "key", "psize")
     estimate = sketch.estimator(long_df.sparkSession, sketch.build(long_df, eps, cfg.sketch_confidence, cfg.sketch_seed))
     sized = long_df.withColumn("est", estimate(F.col("key")))
     fit = sized.filter((F.col("est") <= cfg.block_cap) & (F.col("est") > 1)).select("rid", "key")
@@ -105,10 +132,25 @@ def split(long_df: DataFrame, over: DataFrame, cfg: BlockingConfig, n_over: int)
         going = tested.filter("maybe").join(hint(flags.filter("kind = 'over'")), "key")
         return tested.filter("NOT maybe").select("rid", "key"), going.select("rid", "key", F.col("osize").alias("size"))
     fit = long_df.join(hint(flags.select("key")), "key", "left_anti").select("rid", "key")
+    if cfg.survivor_store == "sketch":
+        return fit, sketched_survivors(long_df, over, cfg)
     going = long_df.join(hint(flags.filter("kind = 'over'")), "key").select("rid", "key", F.col("osize").alias("size"))
     return fit, going
 
 
+def sketched_survivors(long_df: DataFrame, over: DataFrame, cfg: BlockingConfig) -> DataFrame:
+    """Postings of survivors by a count-min sketch of survivors alone, each added as often as its size: the sizes that go
+    on are estimates, never too small, and some keys that are no survivors go on beside them. Their intersections are
+    counted again in the next round, so they cost work and, through the shrink test, may let a child block pass
+    that the exact size would stop; no survivor is lost. Its bytes do not depend on how many survive."""
+    kept = over.filter("kind = 'over'").select("key", F.explode(F.sequence(F.lit(1), F.ceil(F.log2("size")).cast("int"))).alias("bit"))
+    widest = cfg.sketch_bytes // (8 * sketch.shape(0.5, cfg.sketch_confidence)[0])
+    eps = max(cfg.sketch_eps or 0, 2 / widest, 0.5 / max(1, kept.count()))
+    estimate = sketch.estimator(long_df.sparkSession, sketch.build(kept, eps, cfg.sketch_confidence, cfg.sketch_seed))
+    sized = long_df.select("rid", "key", estimate(F.col("key")).alias("bits")).filter("bits > 0")
+    return sized.select("rid", "key", F.pow(F.lit(2), F.col("bits")).cast("bigint").alias("size"))
+
+
 def candidate_pairs(df: DataFrame, rid, specs, cfg: BlockingConfig = BlockingConfig(), cross=None) -> DataFrame:  # noqa: B008
     """(rid1, rid2, key, size): distinct pairs of records that share a block of at most block_cap records after
     any number of intersections, each with its largest block."""

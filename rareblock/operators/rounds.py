@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..config import BlockingConfig
@@ -57,3 +57,16 @@ def intersect(over: DataFrame, cfg: BlockingConfig) -> DataFrame:
     first = held.select("rid", "k", F.posexplode(F.slice("k", F.lit(1), F.size("k") - 1)).alias("i", "a"))
     both = first.select("rid", "a", F.explode(F.slice("k", F.col("i") + 2, F.size("k"))).alias("b"))
     return both.select("rid", child_key(F.col("a.key"), F.col("b.key"), cfg.hash).alias("key"), F.least("a.size", "b.size").alias("psize"))
+
+
+def windows(over: DataFrame, cfg: BlockingConfig) -> DataFrame:
+    """(rid, key) of blocks of block_cap records, cut in the order of ids from those members of an over-size block that
+    have no other over-size key and so would never be compared. (rid, key, size) come in."""
+    lone = over.groupBy("rid").agg(F.count("*").alias("n"), F.min("key").alias("key")).filter("n = 1")
+    # A block may be any part of the table: ids are dealt into runs by a count per range of ids before they are numbered.
+    spans = lone.withColumn("span", F.floor(F.col("rid") / (64 * cfg.block_cap)))
+    before = Window.partitionBy("key").orderBy("span").rowsBetween(Window.unboundedPreceding, -1)
+    starts = spans.groupBy("key", "span").agg(F.count("*").alias("n")).select("key", "span", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start"))
+    nth = F.row_number().over(Window.partitionBy("key", "span").orderBy("rid")) - 1 + F.col("start")
+    label = F.unhex(F.md5(F.concat(F.col("key"), F.floor(nth / cfg.block_cap).cast("string").cast("binary"))))
+    return spans.join(starts, ["key", "span"]).select("rid", label.alias("key"))

@@ -18,6 +18,17 @@ def fold(key: Column) -> Column:
     return F.xxhash64(key)
 
 
+def shape(eps: float, confidence: float) -> tuple[int, int]:
+    """(depth, width) of the sketch with these bounds."""
+    return math.ceil(-math.log(1 - confidence) / math.log(2)), math.ceil(2 / eps)
+
+
+def dense_bytes(eps: float, confidence: float) -> int:
+    """Size of its table of 8-byte counters, which one task builds and every worker gets."""
+    depth, width = shape(eps, confidence)
+    return 8 * depth * width
+
+
 def build(long_df: DataFrame, eps: float, confidence: float, seed: int = 42, key: str = "key") -> bytes:
     """One sketch per partition, merged; its size depends on eps and confidence alone."""
     return bytes(long_df.agg(F.count_min_sketch(fold(F.col(key)), F.lit(eps), F.lit(confidence), F.lit(seed)).alias("s")).first()["s"])
@@ -63,6 +74,21 @@ def bucket_table(long_df: DataFrame, depth: int, width: int, key: str = "key", b
     return rows.select("d", at(F.col("d"), F.col("k")).cast("bigint").alias("bucket")).groupBy("d", "bucket").agg(F.count("*").alias("n"))
 
 
+def maybe_above(long_df: DataFrame, cap: int, eps: float, confidence: float, broadcast_rows: int, keep) -> DataFrame:
+    """long_df with a column ``maybe``: whether all buckets of the row's key hold more than cap. Buckets are counted as a
+    table, of any width; only those above cap are looked up, a join a row of the sketch, and broadcast while their
+    counted number allows. As with the sketch, no key of more than cap rows is missed."""
+    depth, width = shape(eps, confidence)
+    at = lambda d: F.pmod(F.xxhash64(F.lit(d), F.col("key")), F.lit(width)).cast("bigint")
+    full = keep(bucket_table(long_df, depth, width).filter(F.col("n") > cap).select("d", "bucket"), "full-buckets")
+    hint = F.broadcast if full.count() <= broadcast_rows else (lambda df: df)
+    out = long_df.withColumn("maybe", F.lit(True))
+    for d in range(depth):
+        mine = hint(full.filter(F.col("d") == d).select(F.col("bucket").alias("full")))
+        out = out.withColumn("at", at(d)).join(mine, F.col("at") == F.col("full"), "left").withColumn("maybe", F.col("maybe") & F.col("full").isNotNull()).drop("at", "full")
+    return out
+
+
 class Bloom:
     """A bit set with two-hash probing; no false negatives."""
 

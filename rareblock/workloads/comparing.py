@@ -25,7 +25,7 @@ def _rib(index: DataFrame, name: str) -> DataFrame:
 
 def _three(s, d: str, name: str) -> dict[str, DataFrame]:
     index = rib.settle(_INDEX[name](s, d), "index")
-    return {"CapDrop": baselines.cap_drop(index, fx.CAPS[name]), "MetaGraph": meta.meta_blocking(index), "RIB": _rib(index, name)}
+    return {"CapDrop": baselines.cap_drop(index, fx.CAPS[name]), "MetaGraph": meta.meta_blocking(index, purge=None), "RIB": _rib(index, name)}
 
 
 def _stacked(rows: list[DataFrame]) -> DataFrame:
@@ -43,12 +43,63 @@ def _compared(name: str):
     return query
 
 
+#: Multiples of a set's cap that the baseline is tried at, to meet the main method's number of pairs.
+POINTS = (0.25, 0.5, 1, 1.5, 2, 4)
+
+
+def _at_point(name: str):
+    """The main method, and the threshold baseline at the cap whose number of pairs comes nearest to its."""
+
+    def query(s, d: str) -> DataFrame:
+        index, truth = rib.settle(_INDEX[name](s, d), "index"), rib.settle(_TRUTH[name](s, d).select("rid1", "rid2"), "truth")
+        ours, caps = rib.settle(_rib(index, name), "pairs"), [int(fx.CAPS[name] * x) for x in POINTS]
+        best = metrics.match_operating_point(lambda cap: baselines.cap_drop(index, int(cap)), ours.count(), caps)
+        rows = (("RIB", fx.CAPS[name], ours), ("CapDrop", int(best), baselines.cap_drop(index, int(best))))
+        return _stacked([metrics.quality(p, truth).select(F.lit(m).alias("method"), F.lit(c).cast("bigint").alias("cap"), "pairs", "pc", "pq") for m, c, p in rows])
+
+    return query
+
+
+#: One setting changed at a time from cap 20, key cap 80, ratio 0.9.
+SETTINGS = (("block_cap", 10), ("block_cap", 20), ("block_cap", 40), ("key_cap", 2), ("key_cap", 3), ("shrink_ratio", 0.1), ("shrink_ratio", 0.5), ("shrink_ratio", 1.0))
+
+
+def _sensitivity(s, d: str) -> DataFrame:
+    index, truth = rib.settle(fx.part_index(s, d), "index"), rib.settle(fx.part_truth(s, d), "truth")
+    rows = []
+    for what, value in SETTINGS:
+        cfg = fx.config("part", **{what: value})
+        found = rib.pairs_of(rib.run(index, cfg).blocks(), cfg).select("rid1", "rid2")
+        rows.append(metrics.quality(found, truth).select(F.lit(what).alias("parameter"), F.lit(float(value)).alias("value"), "pairs", "pc", "pq"))
+    return _stacked(rows)
+
+
+def _copied(s, d: str, copies: int) -> DataFrame:
+    """The product index with every record ``copies`` times, under ids of its own: all blocks grow alike."""
+    index = fx.part_index(s, d)
+    last = index.agg(F.max("rid").alias("last"))
+    each = index.crossJoin(F.broadcast(last)).withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))))  # one row
+    return each.select((F.col("rid") + F.col("copy") * F.col("last")).alias("rid"), "keys")
+
+
+def _ladder(s, d: str) -> DataFrame:
+    """Records, postings and pairs of both methods over a table once, twice and four times; bench.py has the times."""
+    rows = []
+    for copies in (1, 2, 4):
+        index = rib.settle(_copied(s, d, copies), "index")
+        counted = index.agg(F.count("*").alias("records"), F.sum(F.size("keys")).cast("bigint").alias("postings"))
+        for m, p in (("CapDrop", baselines.cap_drop(index, fx.CAPS["part"])), ("RIB", _rib(index, "part"))):
+            pairs = p.agg(F.count("*").alias("pairs"))
+            rows.append(counted.crossJoin(F.broadcast(pairs)).select(F.lit(copies).cast("bigint").alias("copies"), "records", "postings", F.lit(m).alias("method"), "pairs"))  # one row
+    return _stacked(rows)
+
+
 def _edges(weight: str):
-    return lambda s, d: meta.edges(meta.block_postings(fx.part_index(s, d)), weight).select("rid1", "rid2", F.round("w", 6).alias("w"))
+    return lambda s, d: meta.edges(meta.block_postings(fx.part_index(s, d), purge=None), weight).select("rid1", "rid2", F.round("w", 6).alias("w"))
 
 
 def _pruned(how: str):
-    return lambda s, d: meta.meta_blocking(fx.part_index(s, d), "cbs", how)
+    return lambda s, d: meta.meta_blocking(fx.part_index(s, d), "cbs", how, purge=None)
 
 
 def _cardinalities(s, d: str) -> DataFrame:
@@ -113,7 +164,7 @@ def _ablate_pages(s, d: str) -> DataFrame:
 
 def _scatter(s, d: str) -> DataFrame:
     """The ablation's points and one of token keys kept in the smaller half of each record's blocks."""
-    halved = meta.block_postings(fx.docs_index(s, d), ratio=0.5)
+    halved = meta.block_postings(fx.docs_index(s, d), purge=None, ratio=0.5)
     token = metrics.quality(_rib(keys.from_long(halved, "rid", "key"), "docs"), fx.docs_truth(s, d)).select(F.lit("token 0.5").alias("setting"), "pairs", "pc", "pq")
     return _ablate_docs(s, d).unionByName(token)
 
@@ -131,7 +182,7 @@ def _token_vs_lsh(s, d: str) -> DataFrame:
 
 QUERIES = {
     "naive_customer": lambda s, d: baselines.all_pairs(fx.customer_index(s, d)),
-    "meta_filter_part": lambda s, d: meta.block_postings(fx.part_index(s, d), ratio=0.8).select("rid", printed(F.col("key")).alias("key")),
+    "meta_filter_part": lambda s, d: meta.block_postings(fx.part_index(s, d), purge=None, ratio=0.8).select("rid", printed(F.col("key")).alias("key")),
     "pc_part": lambda s, d: metrics.pc(_rib(fx.part_index(s, d), "part"), fx.part_truth(s, d)),
     "pq_part": lambda s, d: metrics.pq(_rib(fx.part_index(s, d), "part"), fx.part_truth(s, d)),
     "pq_oracle_docs": lambda s, d: metrics.pq_oracle(_scored(s, d, _rib(fx.docs_index(s, d), "docs")), F.col("j") >= 0.8),
@@ -139,6 +190,9 @@ QUERIES = {
     "card_table": _cardinalities,
     "rr_table": _reductions,
     "cost_model": lambda s, d: metrics.cost_model(s),
+    "scaling_ladder_part": _ladder,
+    "sensitivity_part": _sensitivity,
+    "meta_broadcast_part": lambda s, d: meta.broadcast_edges(fx.part_index(s, d), purge=None),
     "scaling_fit": lambda s, d: metrics.scaling(s.createDataFrame(PUBLISHED, "millions double, minutes double")),
     "ablate_lsh_docs": _ablate_docs,
     "ablate_lsh_part": _ablate_part,
@@ -195,6 +249,36 @@ def _cards(shape: str) -> str:
     return f"WITH {', '.join(ctes)} {' UNION ALL '.join(rows)}"
 
 
+def _at_point_sql(name: str, truth_cte: str, truth: str) -> str:
+    base, depth = _BASE[name]
+    caps = [int(fx.CAPS[name] * x) for x in POINTS]
+    ctes = [sql.rounds(base, fx.CAPS[name], depth), "ours AS MATERIALIZED (SELECT rid1, rid2 FROM pairs)", *(sql.cap_drop(base, c, f"c{c}_") for c in caps)]
+    ctes += ["tried AS MATERIALIZED (" + " UNION ALL ".join(f"SELECT {i} AS nth, {c} AS cap, rid1, rid2 FROM c{c}_capped" for i, c in enumerate(caps)) + ")"]
+    off = "abs(ln(greatest(1, count(*)) / CAST((SELECT count(*) FROM ours) AS DOUBLE)))"
+    ctes += [f"best AS MATERIALIZED (SELECT cap FROM tried GROUP BY nth, cap ORDER BY {off}, nth LIMIT 1)", "there AS MATERIALIZED (SELECT rid1, rid2 FROM tried WHERE cap = (SELECT cap FROM best))"]
+    rows = f"SELECT 'RIB' AS method, CAST({fx.CAPS[name]} AS BIGINT) AS cap, pairs, pc, pq FROM ({sql.measured('SELECT * FROM ours', truth)}) UNION ALL SELECT 'CapDrop', (SELECT CAST(cap AS BIGINT) FROM best), pairs, pc, pq FROM ({sql.measured('SELECT * FROM there', truth)})"
+    return f"WITH {', '.join(ctes + ([truth_cte] if truth_cte else []))} {rows}"
+
+
+def _sensitivity_sql() -> str:
+    ctes, rows = [], []
+    for i, (what, value) in enumerate(SETTINGS):
+        at = {"block_cap": 20, "key_cap": 80, "shrink_ratio": 0.9} | {what: value}
+        ctes.append(sql.rounds(sql.PART, at["block_cap"], 3, at["key_cap"], round(at["shrink_ratio"] * 1000), p=f"s{i}_"))
+        rows.append(f"SELECT '{what}' AS parameter, CAST({value} AS DOUBLE) AS value, pairs, pc, pq FROM ({sql.measured(f'SELECT rid1, rid2 FROM s{i}_pairs', sql.PART_TRUTH)})")
+    return f"WITH {', '.join(ctes)} {' UNION ALL '.join(rows)}"
+
+
+def _ladder_sql() -> str:
+    ctes, rows = [f"once AS MATERIALIZED ({sql.PART})"], []
+    for copies in (1, 2, 4):
+        base = f"SELECT rid + c * (SELECT max(rid) FROM once) AS rid, key FROM once, range({copies}) AS r(c)"
+        ctes += [f"l{copies} AS MATERIALIZED ({base})", sql.cap_drop(f"SELECT * FROM l{copies}", fx.CAPS["part"], f"l{copies}_"), sql.rounds(f"SELECT * FROM l{copies}", fx.CAPS["part"], 3, p=f"l{copies}_")]
+        for m, made in (("CapDrop", "capped"), ("RIB", "pairs")):
+            rows.append(f"SELECT CAST({copies} AS BIGINT) AS copies, (SELECT count(DISTINCT rid) FROM l{copies}) AS records, (SELECT count(*) FROM l{copies}) AS postings, '{m}' AS method, (SELECT count(*) FROM l{copies}_{made}) AS pairs")
+    return f"WITH {', '.join(ctes)} {' UNION ALL '.join(rows)}"
+
+
 _DOCS_RIB = sql.rounds(sql.DOCS, 50, 4)
 _PART_RIB = sql.rounds(sql.PART, 20, 2)
 _MATCHED = f"{_DOCS_RIB}, {sql.truth_docs(0.8)}, matched AS MATERIALIZED (SELECT rid1, rid2, round(jaccard, 6) AS score FROM pairs JOIN tj USING (rid1, rid2) WHERE round(jaccard, 6) >= 0.8)"
@@ -240,6 +324,9 @@ ORACLE_SQL = {
     "card_table": _cards("pairs"),
     "rr_table": _cards("rr"),
     "cost_model": "SELECT * FROM (VALUES ('heavy_surname_days', round(1400000.0 * 1399999 / 2 * 50 / 1e6 / 86400, 3)), ('largest_run_dollars', round(169.2 / 60 * 100 * 1.04, 3)), ('naive_scoring_worker_years', round(1.2e17 * 50 / 1e6 / 86400 / 365.25, 3))) AS t(name, value)",
+    "scaling_ladder_part": _ladder_sql(),
+    "sensitivity_part": _sensitivity_sql(),
+    "meta_broadcast_part": f"WITH {sql.meta(sql.PART, 'cbs', None)} SELECT rid1, rid2, w FROM edge",
     "scaling_fit": "SELECT round(regr_slope(minutes, millions), 6) AS slope, round(regr_intercept(minutes, millions), 6) AS intercept, round(regr_r2(minutes, millions), 6) AS r2, round(regr_slope(ln(minutes), ln(millions)), 6) AS loglog FROM (VALUES "
     + ", ".join(f"({a}, {b})" for a, b in PUBLISHED) + ") AS p(millions, minutes)",
     "ablate_lsh_docs": _lsh_sql(sql.DOC_TOKENS, sql.truth_docs(0.8), "SELECT * FROM truth", _OFF_DOCS),
@@ -265,10 +352,14 @@ for _name, (_base, _depth) in _BASE.items():
         ORACLE_SQL[f"capdrop_{_name}"] = f"WITH {sql.cap_drop(_base, fx.CAPS[_name])} SELECT * FROM capped"
     if _name in _TRUTH:
         QUERIES[f"compare_methods_{_name}"] = _compared(_name)
+        QUERIES[f"compare_at_point_{_name}"] = _at_point(_name)
 ORACLE_SQL |= {
     "compare_methods_part": _compared_sql("part", "", sql.PART_TRUTH),
     "compare_methods_docs": _compared_sql("docs", sql.truth_docs(0.8), "SELECT * FROM truth"),
     "compare_methods_voter": _compared_sql("voter", "", sql.VOTER_TRUTH),
+    "compare_at_point_part": _at_point_sql("part", "", sql.PART_TRUTH),
+    "compare_at_point_docs": _at_point_sql("docs", sql.truth_docs(0.8), "SELECT * FROM truth"),
+    "compare_at_point_voter": _at_point_sql("voter", "", sql.VOTER_TRUTH),
 }
 for _w in meta.WEIGHTS:
     QUERIES[f"meta_{_w}_part"] = _edges(_w)

@@ -170,6 +170,8 @@ QUERIES = {
     "rib_part": _pairs(fx.part_index, "part", pair_dedup="shuffle"),
     "rib_part_propagate": _pairs(fx.part_index, "part", pair_dedup="propagate"),
     "rib_part_sketch": _pairs(fx.part_index, "part", counting="sketch"),
+    "rib_part_bucket": _pairs(fx.part_index, "part", counting="sketch", sketch_bytes=1),
+    "rib_part_survivor_sketch": _pairs(fx.part_index, "part", survivor_store="sketch"),
     "rib_part_published": lambda s, d: shown(rib.pairs_of(rib.run(fx.part_index(s, d), AS_PUBLISHED.but(block_cap=20, sketch_eps=1e-5)).blocks(), AS_PUBLISHED)),
     "rib_orders": _pairs(fx.orders_index, "orders"),
     "rib_customer": _pairs(fx.customer_index, "customer"),
@@ -257,5 +259,5 @@ ORACLE_SQL = {
     "heavy_value_orders": _heavy_sql,
     "twins_stall_lineitem": f"WITH {sql.rounds(sql.lineitem(4, 2), 50, 2)} {_stall_rows}",
 }
-for _same, _of in (("rib_part_propagate", "rib_part"), ("rib_part_sketch", "rib_part"), ("rib_part_published", "rib_part"), ("rib_pivot_customer", "rib_customer"), ("rib_shuffle_join_customer", "rib_customer")):
+for _same, _of in (("rib_part_propagate", "rib_part"), ("rib_part_sketch", "rib_part"), ("rib_part_bucket", "rib_part"), ("rib_part_published", "rib_part"), ("rib_pivot_customer", "rib_customer"), ("rib_shuffle_join_customer", "rib_customer")):
     ORACLE_SQL[_same] = ORACLE_SQL[_of]

@@ -119,7 +119,7 @@ QUERIES = {
     "win_range": lambda s, d: _orders(s, d).withColumn("day", F.datediff("o_orderdate", F.lit("1990-01-01").cast("date"))).select("o_orderkey", F.count("*").over(_by_customer("day").rangeBetween(-6, 0)).alias("week")),
     "win_ntile": lambda s, d: fx.part(s, d).select("p_partkey", F.ntile(4).over(Window.partitionBy("p_brand").orderBy("p_retailprice", "p_partkey")).cast("bigint").alias("quarter"), F.dense_rank().over(Window.partitionBy("p_brand").orderBy("p_size")).cast("bigint").alias("dense")),
     "topk_blocks": lambda s, d: keys.postings(fx.orders_index(s, d)).groupBy(printed(F.col("key")).alias("key")).agg(F.count("*").alias("size")).orderBy(F.desc("size"), "key").limit(10),
-    "sort_pairs": lambda s, d: _part_pairs(s, d).orderBy(F.desc("size"), "rid1", "rid2").select("rid1", "rid2", "size").limit(1000),
+    "sort_pairs": lambda s, d: _part_pairs(s, d).orderBy(F.desc("size"), "rid1", "rid2").select("rid1", "rid2", "size"),
     "topk_group": lambda s, d: _part_pairs(s, d).withColumn("nth", F.row_number().over(Window.partitionBy("rid1").orderBy(F.desc("size"), "rid2"))).filter("nth <= 2").select("rid1", "rid2", "size"),
     "set_union": lambda s, d: (lambda a, b: a.union(b).distinct())(*_both_pairs(s, d)),
     "set_intersect": lambda s, d: (lambda a, b: a.intersect(b))(*_both_pairs(s, d)),
@@ -179,7 +179,7 @@ ORACLE_SQL = {
     "win_range": "SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY date_diff('day', DATE '1990-01-01', o_orderdate) RANGE BETWEEN 6 PRECEDING AND CURRENT ROW) AS week FROM orders",
     "win_ntile": "SELECT p_partkey, ntile(4) OVER (PARTITION BY p_brand ORDER BY p_retailprice, p_partkey) AS quarter, dense_rank() OVER (PARTITION BY p_brand ORDER BY p_size) AS dense FROM part",
     "topk_blocks": f"SELECT key, count(*) AS size FROM ({sql.ORDERS}) GROUP BY key ORDER BY size DESC, key LIMIT 10",
-    "sort_pairs": f"{_PAIRS} SELECT rid1, rid2, size FROM pairs ORDER BY size DESC, rid1, rid2 LIMIT 1000",
+    "sort_pairs": f"{_PAIRS} SELECT rid1, rid2, size FROM pairs ORDER BY size DESC, rid1, rid2",
     "topk_group": f"{_PAIRS} SELECT rid1, rid2, size FROM (SELECT *, row_number() OVER (PARTITION BY rid1 ORDER BY size DESC, rid2) AS best FROM pairs) WHERE best <= 2",
     "set_union": f"{_TWO} SELECT rid1, rid2 FROM pairs UNION SELECT * FROM capped",
     "set_intersect": f"{_TWO} SELECT rid1, rid2 FROM pairs INTERSECT SELECT * FROM capped",

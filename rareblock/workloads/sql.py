@@ -119,6 +119,8 @@ def meta(base: str, weight: str, how: str | None, p: str = "") -> str:
         f"{p}edge AS MATERIALIZED (SELECT rid1, rid2, round({w}, 9) AS w FROM (SELECT r.*, x.b AS b1, y.b AS b2, gx.d AS d1, gy.d AS d2, (SELECT CAST(count(DISTINCT key) AS DOUBLE) FROM {p}post) AS n, (SELECT CAST(count(*) AS DOUBLE) FROM {p}raw) AS e "
         f"FROM {p}raw r JOIN {p}deg x ON x.rid = rid1 JOIN {p}deg y ON y.rid = rid2 JOIN {p}gd gx ON gx.rid = rid1 JOIN {p}gd gy ON gy.rid = rid2))",
     ]
+    if weight in ("cbs", "arcs"):  # no degrees are asked for
+        out[3:] = [f"{p}edge AS MATERIALIZED (SELECT rid1, rid2, round({w}, 9) AS w FROM {p}raw)"]
     if how:
         out.append(f"{p}node AS MATERIALIZED (SELECT rid1 AS node, rid1, rid2, w FROM {p}edge UNION ALL SELECT rid2, rid1, rid2, w FROM {p}edge)")
         bar = f"(SELECT node, {'max(w)' if how == 'local_max' else 'round(avg(w), 9)'} AS bar FROM {p}node GROUP BY node)"

@@ -145,3 +145,73 @@ def test_components(spark):
             parent[max(x, y)] = min(x, y)
     assert got == {x: find(x) for x in parent}
     assert components(spark.createDataFrame([], "rid1 bigint, rid2 bigint")).count() == 0
+
+
+def test_sketch_stays_within_its_bytes():
+    """By arithmetic: at the published sizes no mode asks for a sketch above its budget."""
+    cfg = BlockingConfig()
+    for n in (1_000, 60_000_000, 1_000_000_000, 30_000_000_000, 1_000_000_000_000):
+        for asked in ("auto", "sketch", "exact", "pivot", "buckets"):
+            mode = rib.counting_of(cfg.but(counting=asked), n)
+            if mode == "sketch":
+                assert sketch.dense_bytes(rib.sketch_eps(cfg, n), cfg.sketch_confidence) <= cfg.sketch_bytes == 256 * 2**20
+            assert mode != "auto" and (asked in ("auto", "sketch") or mode == asked)
+    at = lambda n, asked="auto": rib.counting_of(cfg.but(counting=asked), n)
+    assert [at(1_000), at(60_000_000), at(1_000_000_000), at(30_000_000_000)] == ["exact", "sketch", "exact", "exact"]
+    assert [at(n, "sketch") for n in (60_000_000, 1_000_000_000, 1_000_000_000_000)] == ["sketch", "buckets", "buckets"]
+    assert sketch.shape(0.001, 0.999) == (10, 2000) and sketch.dense_bytes(0.001, 0.999) == 160_000
+
+
+def test_buckets_survivor_sketch_and_salvage(spark, random_blocks):
+    exact = pairs(spark, random_blocks, block_cap=6)
+    assert pairs(spark, random_blocks, block_cap=6, counting="sketch", sketch_bytes=1) == exact
+    assert pairs(spark, random_blocks, block_cap=6, counting="buckets", sketch_eps=0.05, broadcast_keys=0) == exact
+    every = {tuple(r) for r in baselines.all_pairs(index(spark, random_blocks)).collect()}
+    for change in ({}, {"sketch_eps": 0.2, "sketch_confidence": 0.5}):
+        sketched = set(pairs(spark, random_blocks, block_cap=6, survivor_store="sketch", **change))
+        assert set(exact) <= sketched <= every
+    salvaged = set(pairs(spark, random_blocks, block_cap=6, salvage="windows"))
+    assert set(exact) <= salvaged <= every
+    lone = {"a": set(range(10)), "b": {20, 21}}
+    assert pairs(spark, lone, block_cap=4) == pairs(spark, {"b": {20, 21}}, block_cap=4)
+    assert set(pairs(spark, lone, block_cap=4, salvage="windows")) == {(20, 21)} | {(i, j) for i in range(10) for j in range(i + 1, 10) if i // 4 == j // 4}
+
+
+def test_first_edges_by_narrowing(spark):
+    rng = random.Random(3)
+    edge = spark.createDataFrame([(i, j, round(rng.choice([0.25, 0.5, rng.random()]), 9)) for i in range(30) for j in range(i + 1, 30)], "rid1 bigint, rid2 bigint, w double")
+    order = sorted(edge.collect(), key=lambda r: (-r["w"], r["rid1"], r["rid2"]))
+    for k in (0, 1, 7, 100, 217, 434, 435, 9999):
+        assert {tuple(r) for r in meta._first_rows(edge, k).collect()} == {tuple(r) for r in order[:k]}, k
+
+
+def test_broadcast_meta_blocking(spark, random_blocks):
+    i = index(spark, random_blocks)
+    want = meta.edges(meta.block_postings(i, purge=None))
+    got = meta.broadcast_edges(i, purge=None)
+    assert got.exceptAll(want).count() == 0 and got.count() == want.count()
+    with pytest.raises(MemoryError):
+        meta.broadcast_edges(i, most_bytes=100)
+
+
+def test_resuming_another_run_is_refused(spark, random_blocks, tmp_path):
+    i = index(spark, random_blocks)
+    cfg = BlockingConfig(block_cap=6, counting="exact", checkpoint_dir=str(tmp_path))
+    first = sorted(map(tuple, rib.run(i, cfg).postings.collect()))
+    assert sorted(map(tuple, rib.run(i, cfg).postings.collect())) == first
+    with pytest.raises(ValueError):
+        rib.run(i, cfg.but(block_cap=7))
+    with pytest.raises(ValueError):
+        rib.run(i.filter("rid > 3"), cfg)
+
+
+def test_finished_steps_are_deleted(spark, random_blocks):
+    import glob
+
+    from rareblock.plans import storage
+
+    at = storage.shared_dir(spark).removeprefix("file://").removeprefix("file:")
+    before = set(glob.glob(f"{at}/*-*"))
+    rib.run(index(spark, random_blocks), BlockingConfig(block_cap=6, counting="exact"))
+    made = {p.rsplit("/", 1)[1].split("-")[0] for p in set(glob.glob(f"{at}/*-*")) - before}
+    assert made <= {"fit", "round"}  # of the rounds, the last index alone, which is empty
