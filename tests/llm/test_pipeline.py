@@ -53,3 +53,31 @@ def test_odd_rows(spark):
     packed = pipeline.STAGES[-1][1](spark, docs, SMALL)
     assert {r["doc_id"] for r in packed.select("doc_id").collect()} == {r["doc_id"] for r in kept}
     assert docs.filter("false").transform(lambda d: pipeline.STAGES[-1][1](spark, d, SMALL)).count() == 0
+
+
+def test_groups_of_the_pipeline_against_brute_force(spark):
+    """Links at 0.8 on five-word shingles, by plain sets over all documents; groups by spreading the least id."""
+    texts = {r["doc_id"]: (r["text"] or "").encode() for r in table(spark, MEDIUM, "documents").collect()}
+    fold = bytes.maketrans(bytes(range(65, 91)), bytes(range(97, 123)))
+    sets, where = {}, {}
+    for i, t in texts.items():
+        w = t.translate(fold).split()
+        sets[i] = {tuple(w[a : a + 5]) for a in range(max(1, len(w) - 4))} if w else set()
+        for s in sets[i]:
+            where.setdefault(s, []).append(i)
+    shared = {}
+    for group in where.values():
+        for n, a in enumerate(group):
+            for b in group[:n]:
+                shared[a, b] = shared.get((a, b), 0) + 1
+    least = {i: i for i in texts}
+    links = [(a, b) for (a, b), c in shared.items() if 100 * c >= 80 * (len(sets[a]) + len(sets[b]) - c)]
+    changed = True
+    while changed:
+        changed = False
+        for a, b in links:
+            low = min(least[a], least[b])
+            changed |= least[a] != low or least[b] != low
+            least[a] = least[b] = low
+    got = {r["doc_id"]: r["component_id"] for r in neardup.near_duplicates(table(spark, MEDIUM, "documents"), 5, 80).collect()}
+    assert got == least and sum(i != c for i, c in got.items()) > 50
