@@ -14,15 +14,17 @@ from . import keys as block_keys
 from . import pairs as pair_ops
 from . import rounds, sketch
 
+_DIAGNOSTICS = "round int, counting string, twins bigint, stalled bigint, false_over bigint, sketch_bytes bigint, bloom_bytes bigint"
 _REPORT = "round int, keys bigint, fit bigint, over bigint, pass_ratio bigint, survivors bigint, cut_records bigint, abandoned_over bigint"
 
 
 @dataclass
 class Run:
-    """Fit postings (rid, key) of all rounds, and a report row per round."""
+    """Fit postings (rid, key) of all rounds, and a row per round of a report and of diagnostics."""
 
     postings: DataFrame
     report: list[tuple] = field(default_factory=list)
+    diagnostics: list[tuple] = field(default_factory=list)
 
     def blocks(self) -> DataFrame:
         """(key, size, rids): the inverted view, made once, without blocks of one record."""
@@ -32,6 +34,11 @@ class Run:
     def report_frame(self) -> DataFrame:
         return self.postings.sparkSession.createDataFrame(self.report, _REPORT)
 
+    def diagnostics_frame(self) -> DataFrame:
+        """Per round: how it counted, over-size keys that copy another or hardly shrank, keys that a sketch took for
+        over-size and are not, and the bytes of sketch and Bloom filter; null where there was none."""
+        return self.postings.sparkSession.createDataFrame(self.diagnostics, _DIAGNOSTICS)
+
 
 def sketch_eps(cfg: BlockingConfig, n_postings: int) -> float:
     """The error, as a share of all postings, that keeps over-counts below a quarter of the cap."""
@@ -69,8 +76,9 @@ def run(index: DataFrame, cfg: BlockingConfig = BlockingConfig()) -> Run:  # noq
         if cfg.salvage == "windows":
             fit = fit.unionByName(keep(rounds.windows(over, cfg), f"salvage-{t}"))
         done.postings = fit if done.postings is None else done.postings.unionByName(fit)
-        done.report.append(row)
-        last = not row[5]
+        done.report.append(row[0])
+        done.diagnostics.append(row[1])
+        last = not row[0][5]
         before, current = current, None if last else keep(rounds.intersect(over, cfg), f"round-{t + 1}")
         for table in (before, *used):
             release(table)
@@ -80,25 +88,29 @@ def run(index: DataFrame, cfg: BlockingConfig = BlockingConfig()) -> Run:  # noq
 
 
 def _one_round(current: DataFrame, cfg: BlockingConfig, t: int, keep) -> tuple[DataFrame, DataFrame, tuple, list[DataFrame]]:
-    """Fit postings, postings that go on, the report's row, and the tables that the next index makes needless."""
+    """Fit postings, postings that go on, the rows of report and diagnostics, and the tables that the next index makes
+    needless."""
     long_df, settled, used = current, None, []
-    mode = counting_of(cfg, long_df.count() if cfg.counting in ("auto", "sketch") else 0)
+    total = long_df.count() if cfg.counting in ("auto", "sketch") else 0
+    mode = counting_of(cfg, total)
     if mode in ("sketch", "buckets"):
         settled, long_df = rough_split(long_df, cfg.but(counting=mode), keep)
     stats = rounds.pivot_stats(long_df) if mode == "pivot" else rounds.key_stats(long_df)
-    if settled is None:
-        stats = keep(stats.filter("size > 1"), f"stats-{t}")
-        used.append(stats)
+    stats = keep(stats.filter("size > 1") if settled is None else stats, f"stats-{t}")
     over = keep(rounds.classify(stats, cfg), f"over-{t}")
-    used.append(over)
+    used += [stats, over]
     n_over, n_pass, n_kept = over.agg(F.count("*"), F.count_if(F.col("kind") != "stalled"), F.count_if(F.col("kind") == "over")).first()
-    n_keys, n_fit = (None, None) if settled is not None else stats.agg(F.count("*"), F.count_if(F.col("size") <= cfg.block_cap)).first()
+    n_keys, n_fit = stats.agg(F.count("*"), F.count_if(F.col("size") <= cfg.block_cap)).first()
+    rough = settled is not None
+    bloom = sketch.Bloom(n_over, cfg.bloom_fpp).words.nbytes if cfg.membership == "bloom" else None
+    told = (t, mode, n_pass - n_kept, n_over - n_pass, n_fit if rough else None, sketch.dense_bytes(sketch_eps(cfg, total), cfg.sketch_confidence) if mode == "sketch" else None, bloom)
     fit, going = split(long_df, over, cfg, n_over)
     if settled is not None:
         fit = fit.unionByName(settled)
     held = going.groupBy("rid").agg(F.count("*").alias("n"))
     cut, lone = held.agg(F.count_if(F.col("n") > cfg.key_cap), F.count_if(F.col("n") == 1)).first()
-    return keep(fit, f"fit-{t}"), going, (t, n_keys, n_fit, n_over, n_pass, n_kept, cut, lone), used
+    counted = (t, None if rough else n_keys, None if rough else n_fit, n_over, n_pass, n_kept, cut, lone)
+    return keep(fit, f"fit-{t}"), going, (counted, told), used
 
 
 def rough_split(long_df: DataFrame, cfg: BlockingConfig, keep=settle) -> tuple[DataFrame, DataFrame]:

@@ -72,6 +72,17 @@ def _report(s, d: str) -> DataFrame:
     return out
 
 
+def _diagnosed(s, d: str) -> DataFrame:
+    """Copies and stalled keys of each round, counted exactly and by a sketch, which must agree."""
+    out = None
+    for counting in ("exact", "sketch"):
+        for name, index in (("orders", fx.orders_index), ("part", fx.part_index), ("customer", fx.customer_index)):
+            told = rib.run(index(s, d), fx.config(name, counting=counting)).diagnostics_frame()
+            rows = told.select(F.lit(name).alias("set"), "counting", F.col("round").cast("bigint").alias("round"), "twins", "stalled").filter("twins + stalled > 0")
+            out = rows if out is None else out.unionByName(rows)
+    return out
+
+
 def _blocks(s, d: str) -> DataFrame:
     made = rib.run(fx.part_index(s, d), fx.config("part")).blocks()
     return made.select(printed(F.col("key")).alias("key"), "size", F.array_join(F.col("rids").cast("array<string>"), ",").alias("rids"))
@@ -190,6 +201,7 @@ QUERIES = {
     "keycap_docs": _cut,
     "shrink_docs": _shrink,
     "rib_rounds_report": _report,
+    "rib_rounds_diagnostics": _diagnosed,
     "rib_blocks_part": _blocks,
     "pairs_expand_part": _every,
     "pack_part": lambda s, d: shown(_packed(s, d).select("key", "n", "edges", "is_full")),
@@ -248,6 +260,7 @@ ORACLE_SQL = {
     "keycap_docs": f"WITH {sql.rounds(sql.DOCS, 5, 1)} SELECT rid AS doc_id, count(*) AS n_over FROM in0 GROUP BY rid HAVING count(*) > 80",
     "shrink_docs": f"WITH {sql.rounds(sql.DOCS, 50, 2)} SELECT key, size, psize, size * 1000 <= psize * 900 AS pass FROM st1 WHERE size > 50",
     "rib_rounds_report": f"WITH {', '.join(c for c, _ in _reports)} SELECT * FROM ({' UNION ALL '.join(r for _, r in _reports)}) WHERE fit + over > 0",
+    "rib_rounds_diagnostics": f"WITH {', '.join(c for c, _ in _reports)} SELECT \"set\", counting, round, pass_ratio - survivors AS twins, over - pass_ratio AS stalled FROM ({' UNION ALL '.join(r for _, r in _reports)}), (VALUES ('exact'), ('sketch')) AS c(counting) WHERE over > survivors",
     "rib_blocks_part": f"WITH {sql.rounds(sql.PART, 20, 2)} SELECT key, count(*) AS size, string_agg(CAST(rid AS VARCHAR), ',' ORDER BY rid) AS rids FROM fit GROUP BY key",
     "pairs_expand_part": f"WITH {sql.rounds(sql.PART, 20, 2)} SELECT rid1, rid2, key FROM every",
     "pack_part": f"{_packed_sql} SELECT key, any_value(n) AS n, count(*) AS edges, count(*) = any_value(n) * (any_value(n) - 1) // 2 AS is_full FROM pairs JOIN sz USING (key) GROUP BY key",

@@ -34,6 +34,16 @@ def test_sql_functions(spark):
     assert row["t"] == ["foo", "bar"] and row["q"] == ["abc", "bcd"] and row["b"] == 2 and row["p"] == 0.7564 and row["j"] == 0.5
     assert spark.sql("SELECT * FROM VALUES (array(5L, 3L, 9L)) AS b(r), LATERAL block_pairs(r)").count() == 3
     assert spark.sql("SELECT * FROM key_grid(3, 2)").count() == 6
+    words = "the quick brown fox jumps over the lazy dog"
+    banded = keys.build_index(spark.createDataFrame([(1, words)], "rid bigint, text string"), "rid", [keys.lsh("text", "text", 3, 2)]).first()
+    same = spark.sql(f"SELECT rb_lsh_keys(rb_minhash(rb_tokens('{words}'), 6), 3, 2, 'text') AS k, rb_minhash(array(), 3) AS none").first()
+    assert sorted(map(bytes, same["k"])) == sorted(map(bytes, banded["keys"])) and same["none"] is None
+
+
+def test_fast_bands_are_the_same(spark):
+    docs = tables.load(spark, SMALL, "documents").limit(50)
+    made = [{r["rid"]: sorted(map(bytes, r["keys"])) for r in keys.build_index(docs, "doc_id", [keys.lsh("text", "text", 6, 7, fast=fast)]).collect()} for fast in (False, True, None)]
+    assert made[0] == made[1] == made[2]
 
 
 def test_lsh_numbers():
@@ -52,6 +62,45 @@ def test_autospec(spark):
     part = tables.load(spark, SMALL, "part")
     names = [s.name for s in keys.autospec(part, "p_partkey")]
     assert len(names) == len(part.columns) - 1
+    late = spark.createDataFrame([(i, None if i < 1500 else "a text of many words") for i in range(3000)], "rid bigint, text string")
+    assert [s.name for s in keys.autospec(late, "rid")] == ["lsh(text,6,7)"]
+
+
+def test_shared_folder(spark):
+    from types import SimpleNamespace
+
+    import pytest
+
+    from rareblock.plans import storage
+
+    conf = SimpleNamespace(get=lambda key, default=None: default)
+    cluster = SimpleNamespace(sparkContext=SimpleNamespace(master="yarn", getConf=lambda: conf, getCheckpointDir=lambda: None))
+    with pytest.raises(RuntimeError):
+        storage.shared_dir(cluster)
+
+
+def test_operators_of_texts_can_go(tmp_path):
+    """Without the folders of the training-data operators, and only then, the other queries stay alone."""
+    import shutil
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    root = Path(driver.__file__).parent
+    for name in ("rareblock", "__spark_entry__.py", "corpus_pipeline.py"):
+        (shutil.copytree if (root / name).is_dir() else shutil.copy)(root / name, tmp_path / name)
+    ask = [sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()), any(q.startswith('op') for q in e.queries()))"]
+    run = lambda: subprocess.run(ask, cwd=tmp_path, capture_output=True, text=True, env={"PATH": "/usr/bin:/bin", "PYTHONPATH": str(tmp_path)})
+    if (root / "rareblock" / "llm").is_dir() and (root / "corpus_pipeline.py").exists():
+        module = tmp_path / "rareblock" / "llm" / "packing.py"
+        text = module.read_text()
+        module.write_text("import a_module_that_is_not_there\n" + text)
+        assert run().returncode != 0  # a broken operator is not silently left out
+        module.write_text(text)
+    shutil.rmtree(tmp_path / "rareblock" / "llm", ignore_errors=True)
+    (tmp_path / "corpus_pipeline.py").unlink(missing_ok=True)
+    alone = run()
+    assert alone.returncode == 0 and alone.stdout.split()[1] == "False", alone.stderr
 
 
 def test_streams_equal_batches(spark, tmp_path):
@@ -68,6 +117,12 @@ def test_streams_equal_batches(spark, tmp_path):
     whole = rounds.key_stats(keys.postings(keys.build_index(events, "event_id", state.specs))).select("key", "size", "fp")
     assert state.stats(spark).exceptAll(whole).count() == 0 and whole.count() == state.stats(spark).count()
     assert state.over(spark, 100).count() == whole.filter("size > 100").count()
+    fit, over = state.split(spark, 100)
+    assert fit.count() + over.count() == whole.agg(F.sum("size")).first()[0] and over.select("key").distinct().count() == state.over(spark, 100).count()
+    moved = [state.moved(spark, 100, b) for b in range(4)]
+    batches = [r["batch"] for r in spark.read.parquet(f"{tmp_path}/state/stats").select("batch").distinct().collect()]
+    assert sorted(batches) == [0, 1, 2, 3] and moved[0].count() == 0
+    assert sum(m.select("key").distinct().count() for m in moved) + spark.read.parquet(f"{tmp_path}/state/stats").filter("batch = 0 AND size > 100").count() <= state.over(spark, 100).count()
 
 
 def test_block_scoring(spark):
