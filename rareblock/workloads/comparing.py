@@ -77,9 +77,9 @@ def _sensitivity(s, d: str) -> DataFrame:
 def _copied(s, d: str, copies: int) -> DataFrame:
     """The product index with every record ``copies`` times, under ids of its own: all blocks grow alike."""
     index = fx.part_index(s, d)
-    last = index.agg(F.max("rid").alias("last"))
-    each = index.crossJoin(F.broadcast(last)).withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))))  # one row
-    return each.select((F.col("rid") + F.col("copy") * F.col("last")).alias("rid"), "keys")
+    step = index.agg((F.max("rid") + 1).alias("step"))
+    each = index.crossJoin(F.broadcast(step)).withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))))  # one row
+    return each.select((F.col("rid") + F.col("copy") * F.col("step")).alias("rid"), "keys")
 
 
 def _ladder(s, d: str) -> DataFrame:
@@ -272,7 +272,7 @@ def _sensitivity_sql() -> str:
 def _ladder_sql() -> str:
     ctes, rows = [f"once AS MATERIALIZED ({sql.PART})"], []
     for copies in (1, 2, 4):
-        base = f"SELECT rid + c * (SELECT max(rid) FROM once) AS rid, key FROM once, range({copies}) AS r(c)"
+        base = f"SELECT rid + c * (SELECT max(rid) + 1 FROM once) AS rid, key FROM once, range({copies}) AS r(c)"
         ctes += [f"l{copies} AS MATERIALIZED ({base})", sql.cap_drop(f"SELECT * FROM l{copies}", fx.CAPS["part"], f"l{copies}_"), sql.rounds(f"SELECT * FROM l{copies}", fx.CAPS["part"], 3, p=f"l{copies}_")]
         for m, made in (("CapDrop", "capped"), ("RIB", "pairs")):
             rows.append(f"SELECT CAST({copies} AS BIGINT) AS copies, (SELECT count(DISTINCT rid) FROM l{copies}) AS records, (SELECT count(*) FROM l{copies}) AS postings, '{m}' AS method, (SELECT count(*) FROM l{copies}_{made}) AS pairs")

@@ -88,7 +88,8 @@ def test_operators_of_texts_can_go(tmp_path):
 
     root = Path(driver.__file__).parent
     for name in ("rareblock", "__spark_entry__.py", "corpus_pipeline.py"):
-        (shutil.copytree if (root / name).is_dir() else shutil.copy)(root / name, tmp_path / name)
+        if (root / name).exists():
+            (shutil.copytree if (root / name).is_dir() else shutil.copy)(root / name, tmp_path / name)
     ask = [sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()), any(q.startswith('op') for q in e.queries()))"]
     run = lambda: subprocess.run(ask, cwd=tmp_path, capture_output=True, text=True, env={"PATH": "/usr/bin:/bin", "PYTHONPATH": str(tmp_path)})
     if (root / "rareblock" / "llm").is_dir() and (root / "corpus_pipeline.py").exists():
