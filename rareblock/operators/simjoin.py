@@ -6,16 +6,20 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.text import jaccard
+from ..plans.storage import settle
+from .joins import join_counted
 
 
 def jaccard_join(df: DataFrame, rid: str, tokens: Column, least: float) -> DataFrame:
     """(rid1, rid2, jaccard), rid1 < rid2, of records at least ``least`` alike (above 0). Only the rarest
-    1 + floor((1 - least) * n) tokens of a record are indexed: two alike records share one of them."""
+    1 + floor((1 - least) * n) tokens of a record are indexed: two alike records share one of them. Rows of frequent
+    tokens are not brought together to rank them, and the index is written once."""
     sets = df.select(F.col(rid).cast("bigint").alias("rid"), tokens.alias("t")).filter("size(t) > 0 AND rid IS NOT NULL")
     post = sets.select("rid", F.size("t").alias("n"), F.explode("t").alias("token"))
-    spread = post.groupBy("token").agg(F.count("*").alias("df"))
+    spread = settle(post.groupBy("token").agg(F.count("*").alias("df")), "tokens")
     order = Window.partitionBy("rid").orderBy("df", "token")
-    few = post.join(spread, "token").withColumn("nth", F.row_number().over(order)).filter(F.col("nth") <= 1 + F.floor(F.col("n") * (1 - least) + 1e-9))
+    ranked = join_counted(post, spread, "token", "df").withColumn("nth", F.row_number().over(order))
+    few = settle(ranked.filter(F.col("nth") <= 1 + F.floor(F.col("n") * (1 - least) + 1e-9)).select("rid", "n", "token"), "prefixes")
     side = lambda name: few.select(F.col("rid").alias(f"rid{name}"), F.col("n").alias(f"n{name}"), "token")
     near = (F.col("rid1") < F.col("rid2")) & (F.least("n1", "n2") >= least * F.greatest("n1", "n2") - 1e-9)
     pairs = side(1).join(side(2), "token").filter(near).select("rid1", "rid2").distinct()
