@@ -283,10 +283,14 @@ def _cross_links(members: DataFrame, sets: DataFrame, per_cent: int, weight: int
     return ordered.mapInArrow(run, f"a {kind}, b {kind}").distinct()
 
 
-def _with_shared(buckets: DataFrame, shared: DataFrame, hot: int = 1_000) -> DataFrame:
+def _hot_limit(shared: DataFrame, least: int = 1_000) -> int:
+    """Members from which a band is hot: more than a ten-thousandth of all rows, so that 10,000 bands are at most."""
+    return max(least, (shared.agg(F.sum("members")).first()[0] or 0) // 10_000)
+
+
+def _with_shared(buckets: DataFrame, shared: DataFrame, limit: int) -> DataFrame:
     """buckets joined with the table of shared bands. A hot band's rows are spread over many tasks and stay there: hot
-    bands, at most 10,000 as they are told by their share of all rows, are broadcast; the others are shuffled."""
-    limit = max(hot, (shared.agg(F.sum("members")).first()[0] or 0) // 10_000)
+    bands are broadcast, the others shuffled."""
     marked = buckets.join(F.broadcast(shared.filter(F.col("members") > limit)), "band", "left")
     cold = marked.filter("hub IS NULL").select("band", "node", "n_shingles").join(shared.filter(F.col("members") <= limit), "band")
     return marked.filter("hub IS NOT NULL").select(cold.columns).unionByName(cold)
@@ -308,7 +312,9 @@ def near_duplicates(docs: DataFrame, k: int = 5, per_cent: int = 80, id_col: str
     nodes = settle(full.join(classes, (full["digest"] == classes["digest"]) & (full["doc_id"] == classes["node"]), "inner").select("node", "n_shingles", "registers").dropDuplicates(["node", "registers"]), "nodes")
     buckets = nodes.select("node", "n_shingles", F.explode(bands_of(F.col("registers"))).alias("band"))
     shared = buckets.groupBy("band").agg(F.min("node").alias("hub"), F.count("*").alias("members"), F.min_by("n_shingles", "node").alias("hub_size")).filter("members > 1")
-    buckets = settle(_with_shared(buckets, settle(shared, "bands")), "buckets")
+    shared = settle(shared, "bands")
+    limit = _hot_limit(shared)
+    buckets = settle(_with_shared(buckets, shared, limit), "buckets")
     alike = lambda x, y: (100 * F.least(x, y) >= per_cent * F.greatest(x, y))  # noqa: E731  sizes that allow the similarity
     floor = per_cent / 100 - margin
 
@@ -323,8 +329,11 @@ def near_duplicates(docs: DataFrame, k: int = 5, per_cent: int = 80, id_col: str
 
     # Sets of one band that are not connected yet, the least aside, which has met them all.
     placed = unresolved.join(found, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    mixed = placed.groupBy("band").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("band")
-    open_ = placed.join(mixed, "band", "left_semi").filter("node <> hub").select("hub", "node", "component", "n_shingles").distinct()
+    mixed = placed.groupBy("band", "members").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("band", "members")
+    hot = F.col("members") > limit
+    in_hot = placed.filter(hot).join(F.broadcast(mixed.filter(hot).select("band")), "band", "left_semi")
+    in_cold = placed.filter(~hot).join(mixed.filter(~hot).select("band"), "band", "left_semi")
+    open_ = in_hot.unionByName(in_cold).filter("node <> hub").select("hub", "node", "component", "n_shingles").distinct()
     more = settle(_cross_links(settle(open_, "open"), sets, per_cent, weight), "links")
     if more.limit(1).count():
         found = components(links.unionByName(more), "a", "b")
