@@ -51,3 +51,11 @@ def test_similarity_join_drops_unlike_pairs_early(spark):
     df = spark.createDataFrame([(i, ["rare"] + [f"w{i}_{k}" for k in range(40)]) for i in range(200)], "rid bigint, t array<string>")
     few = simjoin.prefixes(df.select("rid", F.transform("t", lambda t: F.xxhash64(t)).alias("h")), 0.8, 0)
     assert simjoin._met(few, 0.8).count() == 0
+
+
+def test_formulas_read_tables(spark):
+    from rareblock.workloads import comparing, method
+
+    for module, name in ((method, "bit_index_grid"), (comparing, "cost_model"), (comparing, "scaling_fit"), (building, "lsh_curve")):
+        made = module.QUERIES[name](spark, SMALL)
+        assert made.inputFiles() and made.count(), name
