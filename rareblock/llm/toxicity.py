@@ -103,34 +103,35 @@ def decisions(words: list[str], table: np.ndarray) -> np.ndarray:
     return np.add.reduceat(total, starts) / norms
 
 
-def kernels(words: list[str], marks: list[str]) -> np.ndarray:
-    """Kernels of all words with all marks, over the slots that some mark has."""
-    vectors = []
-    for m in marks:
-        codes, starts, norms = _laid([m])
-        found: Counter = Counter()
-        for slot, decay in _slots(codes):
-            for x in slot.tolist():
-                found[x] += decay / norms[0]
-        found.pop(0, None)
-        vectors.append(found)
-    used = sorted(set().union(*vectors)) if vectors else []
-    column = {x: i + 1 for i, x in enumerate(used)}
-    dense = np.zeros((len(used) + 1, len(marks)), "f4")
-    for j, found in enumerate(vectors):
-        for x, v in found.items():
-            dense[column[x], j] = v
-    where = np.zeros(SLOTS, "i4")
-    where[used] = np.arange(1, len(used) + 1)
+def kernels(words: list[str], marks: list[str], at_once: int = 64) -> np.ndarray:
+    """Kernels of all words with all marks, over the slots that some mark has. ``at_once`` marks are laid out together,
+    which bounds the dense arrays by their slots instead of all marks'."""
     out = np.empty((len(words), len(marks)), "f4")
-    for i in range(0, len(words), 500):
-        codes, starts, norms = _laid(words[i : i + 500])
-        vector = np.zeros((len(norms), len(used) + 1), "f4")
-        owner = np.repeat(np.arange(len(norms)), np.diff(np.append(starts, len(codes))))
-        for slot, decay in _slots(codes):
-            np.add.at(vector, (owner[: len(slot)], where[slot]), decay)
-        vector[:, 0] = 0
-        out[i : i + 500] = (vector @ dense) / norms[:, None]
+    where = np.zeros(SLOTS, "i4")
+    for first in range(0, len(marks), at_once):
+        vectors = []
+        for m in marks[first : first + at_once]:
+            codes, starts, norms = _laid([m])
+            found: Counter = Counter()
+            for slot, decay in _slots(codes):
+                for x in slot.tolist():
+                    found[x] += decay / norms[0]
+            found.pop(0, None)
+            vectors.append(found)
+        used = sorted(set().union(*vectors)) or [0]
+        where[:] = 0
+        where[used] = np.arange(1, len(used) + 1)
+        dense = np.zeros((len(used) + 1, len(vectors)), "f4")
+        for j, found in enumerate(vectors):
+            dense[where[list(found)], j] = list(found.values())
+        for i in range(0, len(words), 500):
+            codes, starts, norms = _laid(words[i : i + 500])
+            vector = np.zeros((len(norms), len(used) + 1), "f4")
+            owner = np.repeat(np.arange(len(norms)), np.diff(np.append(starts, len(codes))))
+            for slot, decay in _slots(codes):
+                np.add.at(vector, (owner[: len(slot)], where[slot]), decay)
+            vector[:, 0] = 0
+            out[i : i + 500, first : first + at_once] = (vector @ dense) / norms[:, None]
     return out
 
 
@@ -139,11 +140,15 @@ def fit_machine(positive: list[str], negative: list[str], weight: np.ndarray, la
     features are kernels with the landmarks, whitened by the inverse root of the landmarks' own kernels."""
     marks = list(dict.fromkeys(positive[: landmarks // 2] + negative[: landmarks // 2]))
     words = positive + negative
-    between, own = kernels(words, marks).astype("f8"), kernels(marks, marks).astype("f8")
+    between, own = kernels(words, marks), kernels(marks, marks).astype("f8")
     values, vectors = np.linalg.eigh((own + own.T) / 2)
     keep = values > 1e-6 * values.max()
     whiten = vectors[:, keep] / np.sqrt(values[keep])
-    x = np.hstack([between @ whiten, np.ones((len(words), 1))])
+    x = np.ones((len(words), whiten.shape[1] + 1))
+    spans = [slice(i, i + 1000) for i in range(0, len(words), 1000)]  # no second copy of all features
+    for span in spans:
+        x[span, :-1] = between[span].astype("f8") @ whiten
+    del between
     y = np.r_[np.ones(len(positive)), -np.ones(len(negative))]
     share = np.r_[0.2 * weight / max(1e-9, weight.sum()), np.full(len(negative), 0.8 / max(1, len(negative)))]
     w = np.zeros(x.shape[1])
@@ -151,8 +156,13 @@ def fit_machine(positive: list[str], negative: list[str], weight: np.ndarray, la
     ridge[-1] = 1e-6
     for _ in range(30):  # Newton steps over the margin violators
         inside = y * (x @ w) < 1
-        xs, cs = x[inside], share[inside]
-        new = np.linalg.solve((xs * cs[:, None]).T @ xs + np.diag(ridge), (xs * cs[:, None]).T @ y[inside])
+        square, side = np.diag(ridge), np.zeros(len(w))
+        for span in spans:
+            xs = x[span][inside[span]]
+            weighed = (xs * share[span][inside[span], None]).T
+            square += weighed @ xs
+            side += weighed @ y[span][inside[span]]
+        new = np.linalg.solve(square, side)
         if np.allclose(new, w, atol=1e-9):
             break
         w = new

@@ -567,3 +567,16 @@ def test_kernel_against_brute_force():
     words, marks = ["idiot", "id1ot", "idiiiot", "reading", "x", "ab", "aaaa"], ["idiot", "aaa", "moron"]
     want = [[subsequence_kernel(w, m) for m in marks] for w in words]
     assert np.allclose(toxicity.kernels(words, marks), want, atol=1e-4)
+
+
+def test_toxicity_kernels_need_no_array_of_all_landmarks():
+    import tracemalloc
+
+    rng = np.random.default_rng(3)
+    words = ["".join(rng.choice(list("abcdefghijklmnopqrstuvwxyz0123456789"), 10)) for _ in range(1000)]
+    tracemalloc.start()
+    many = toxicity.kernels(words[:500], words[500:])
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 100e6
+    assert np.allclose(many[:, 100], toxicity.kernels(words[:500], words[600:601])[:, 0], rtol=1e-4)
