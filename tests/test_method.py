@@ -215,3 +215,23 @@ def test_finished_steps_are_deleted(spark, random_blocks):
     rib.run(index(spark, random_blocks), BlockingConfig(block_cap=6, counting="exact"))
     made = {p.rsplit("/", 1)[1].split("-")[0] for p in set(glob.glob(f"{at}/*-*")) - before}
     assert made <= {"fit", "round"}  # of the rounds, the last index alone, which is empty
+
+
+def test_copies_of_records_are_weighed_once(spark, tmp_path):
+    """Edges between classes do not grow with the copies, and what they stand for equals the SQL over all records."""
+    from conftest import SMALL
+    from oracle import connect, same
+    from rareblock.workloads import comparing
+    from rareblock.workloads import fixtures as fx
+
+    part, edges = spark.read.parquet(f"{SMALL}/part.parquet"), []
+    for copies in (2, 4):
+        d = str(tmp_path / str(copies))
+        copied = part.crossJoin(spark.range(copies)).withColumn("p_partkey", (F.col("p_partkey") + F.col("id") * 1000).cast(part.schema["p_partkey"].dataType)).drop("id")
+        copied.coalesce(1).write.parquet(f"{d}/part.parquet")
+        edges.append(meta.edges(meta.block_postings(meta.classes(fx.part_index(spark, d)), purge=None)).count())
+    assert edges[0] == edges[1]
+    con = connect(SMALL)
+    con.execute(f"CREATE OR REPLACE VIEW part AS SELECT * FROM '{d}/part.parquet/*.parquet'")
+    for name in [f"meta_{x}_part" for x in (*meta.WEIGHTS, *meta.PRUNES, "broadcast")]:
+        same(comparing.QUERIES[name](spark, d), con, comparing.ORACLE_SQL[name])
