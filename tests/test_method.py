@@ -235,3 +235,14 @@ def test_copies_of_records_are_weighed_once(spark, tmp_path):
     con.execute(f"CREATE OR REPLACE VIEW part AS SELECT * FROM '{d}/part.parquet/*.parquet'")
     for name in [f"meta_{x}_part" for x in (*meta.WEIGHTS, *meta.PRUNES, "broadcast")]:
         same(comparing.QUERIES[name](spark, d), con, comparing.ORACLE_SQL[name])
+
+
+def test_quality_of_classes_lays_out_no_pair(spark):
+    from rareblock.operators import metrics
+
+    i = index(spark, {"A": {1, 2, 3, 4}, "B": {3, 4, 5}, "C": {6, 7}})
+    truth = spark.createDataFrame([(1, 2), (3, 5), (4, 5), (1, 7)], "rid1 bigint, rid2 bigint")
+    held = meta.classes(i)
+    edge = meta.edges(meta.block_postings(held, purge=None))
+    assert metrics.class_quality(edge, held, truth).first() == metrics.quality(baselines.all_pairs(i), truth).first() == (9, 3, 4, 0.75, round(3 / 9, 6))
+    assert edge.count() == 5
