@@ -5,12 +5,15 @@ import random
 
 import numpy as np
 import pytest
+from conftest import SMALL
 from pyspark.sql import functions as F
 
 from rareblock.config import AS_PUBLISHED, BlockingConfig
 from rareblock.operators import baselines, keys, meta, rib, rounds, sketch
 from rareblock.operators import pairs as pair_ops
+from rareblock.operators.asked import Asked
 from rareblock.operators.cluster import components
+from rareblock.workloads import comparing
 
 A, B, C, D = {1, 2, 3, 4}, {1, 2, 5, 6}, {1, 3, 4, 5, 6}, {5, 6}
 
@@ -246,3 +249,26 @@ def test_quality_of_classes_lays_out_no_pair(spark):
     edge = meta.edges(meta.block_postings(held, purge=None))
     assert metrics.class_quality(edge, held, truth).first() == metrics.quality(baselines.all_pairs(i), truth).first() == (9, 3, 4, 0.75, round(3 / 9, 6))
     assert edge.count() == 5
+
+
+def test_asked_pairs_are_those_of_the_rounds(spark):
+    rng = random.Random(3)
+    groups = [set(rng.sample(range(70), 30)) for _ in range(4)]
+    blocks = {f"k{i}": set(rng.sample(sorted(rng.choice(groups)), rng.choice([2, 3, 12, 20, 26]))) for i in range(30)}
+    blocks |= {"twin": blocks["k0"], "also": blocks["k0"], "all": set(range(70))}
+    every = spark.createDataFrame(list(itertools.combinations(range(70), 2)), "rid1 bigint, rid2 bigint")
+    for settings in ({"block_cap": 2}, {"block_cap": 3}, {"block_cap": 5, "key_cap": 5}, {"block_cap": 2, "shrink_ratio": 0.6}):
+        cfg = BlockingConfig(counting="exact").but(**settings)
+        run = rib.run(index(spark, blocks), cfg)
+        wanted = {(r.rid1, r.rid2) for r in rib.pairs_of(run.blocks(), cfg).collect()}
+        assert len(run.report) > 2 and 0 < len(wanted) < every.count()
+        assert {tuple(r) for r in Asked(index(spark, blocks), cfg).of(every).collect()} == wanted
+
+
+def test_matches_lay_out_no_candidates(spark, monkeypatch):
+    def none(*_):
+        raise AssertionError("candidates are laid out")
+
+    monkeypatch.setattr(pair_ops, "expand", none)
+    monkeypatch.setattr(pair_ops, "propagate", none)
+    assert comparing.QUERIES["match_docs"](spark, SMALL).count() > 0
