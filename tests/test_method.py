@@ -272,3 +272,29 @@ def test_matches_lay_out_no_candidates(spark, monkeypatch):
     monkeypatch.setattr(pair_ops, "expand", none)
     monkeypatch.setattr(pair_ops, "propagate", none)
     assert comparing.QUERIES["match_docs"](spark, SMALL).count() > 0
+
+
+def test_class_edges_stand_for_the_pairs_of_records(spark, random_blocks):
+    blocks = {name: {x for r in members for x in range(r * 4, r * 4 + 1 + r % 4)} for name, members in random_blocks.items()}
+    every = index(spark, blocks)
+    held = meta.classes(every)
+    assert held.count() < every.count()
+    for cap in (2, 6, 15):
+        cfg = BlockingConfig(block_cap=cap, counting="exact")
+        edge = rib.class_edges(held, cfg)
+        assert {tuple(r) for r in meta.lay_out(edge, held).select("rid1", "rid2").collect()} == set(pairs(spark, blocks, block_cap=cap))
+
+
+def test_sensitivity_lays_out_no_copies(spark, tmp_path, monkeypatch):
+    from rareblock.workloads import fixtures as fx
+
+    part = spark.read.parquet(f"{SMALL}/part.parquet")
+    step = part.agg(F.max("p_partkey") + 1).first()[0]
+    part.crossJoin(spark.range(50)).withColumn("p_partkey", F.col("p_partkey") + F.col("id") * step).drop("id").write.parquet(f"{tmp_path}/part.parquet")
+    sizes = []
+    monkeypatch.setattr(rib, "run", lambda index, cfg, run=rib.run: (sizes.append(index.count()), run(index, cfg))[1])
+    monkeypatch.setattr(comparing, "SETTINGS", (("block_cap", 40), ("block_cap", 2000)))
+    few, all_ = comparing.QUERIES["sensitivity_part"](spark, str(tmp_path)).collect()
+    truth = fx.part_truth(spark, str(tmp_path)).count()
+    assert max(sizes) <= part.count()
+    assert (few.pairs, few.pc) == (0, 0.0) and all_.pairs >= truth > 0 and all_.pc == 1.0 and all_.pq == round(truth / all_.pairs, 6)
