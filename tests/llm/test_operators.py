@@ -580,3 +580,18 @@ def test_toxicity_kernels_need_no_array_of_all_landmarks():
     tracemalloc.stop()
     assert peak < 100e6
     assert np.allclose(many[:, 100], toxicity.kernels(words[:500], words[600:601])[:, 0], rtol=1e-4)
+
+
+def test_pairs_of_full_buckets_keep_their_weights():
+    rng = np.random.default_rng(5)
+    plain = np.full(4_001, 1e-5)
+    keys = np.unique((rng.integers(1, 4_001, 60_000) << 25) | (rng.integers(10, 32, 60_000) << 20) | rng.integers(1, 4_001, 60_000))
+    keys = keys[: 2**15 + 20_000]
+    weights = rng.uniform(0.5, 5, len(keys))
+    table = language_model.PairTable(keys, weights, plain)
+    assert len(table.beyond) > 0
+    sums = np.bincount(keys >> 20, plain[keys & language_model.PLACE] * np.expm1(weights), len(plain) * 32)
+    assert np.allclose(table.log_factor(keys), weights - np.log1p(sums[keys >> 20]), atol=1e-5)
+    other = np.setdiff1d(keys ^ 1, keys)
+    other = other[(other & language_model.PLACE) > 0]
+    assert np.allclose(table.log_factor(other), -np.log1p(sums[other >> 20]), atol=1e-5)
