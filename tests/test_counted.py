@@ -50,3 +50,11 @@ def test_comparisons_lay_out_no_pair(spark, monkeypatch, name):
     for module, made in ((pairs, "expand"), (pairs, "propagate"), (baselines, "all_pairs")):
         monkeypatch.setattr(module, made, refuse)
     same(comparing.QUERIES[name](spark, MEDIUM), connect(MEDIUM), comparing.ORACLE_SQL[name])
+
+
+def test_halved_keys_are_counted(spark, monkeypatch):
+    """The halved tokens' pairs are asked of no list of pairs: only banded and identity keys make one."""
+    made = []
+    monkeypatch.setattr(comparing, "_rib", lambda index, name, do=comparing._rib: made.append(name) or do(index, name))
+    same(comparing.QUERIES["lsh_scatter_docs"](spark, MEDIUM), connect(MEDIUM), comparing.ORACLE_SQL["lsh_scatter_docs"])
+    assert set(made) == {"lsh"}
