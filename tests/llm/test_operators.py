@@ -595,3 +595,14 @@ def test_pairs_of_full_buckets_keep_their_weights():
     other = np.setdiff1d(keys ^ 1, keys)
     other = other[(other & language_model.PLACE) > 0]
     assert np.allclose(table.log_factor(other), -np.log1p(sums[other >> 20]), atol=1e-5)
+
+
+def test_words_are_numbered_in_order():
+    """New words are numbered while they are read, and a text's end follows its words."""
+    from rareblock.llm import language_model as lm
+
+    classes = lm.Classes(np.zeros(lm.ENDINGS, "i8"), {lm.END: 0}, {})
+    texts = [[b"a", b"b", b"a"], [], [b"c"]]
+    *_, packed, begins, flat = lm._stacked(texts, classes.packed())
+    assert flat == [b"a", b"b", b"a", lm.END, lm.END, b"c", lm.END] and begins.tolist() == [0, 4, 5]
+    assert packed.tolist() == [classes.packed()[w] for w in flat]
