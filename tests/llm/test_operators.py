@@ -606,3 +606,20 @@ def test_words_are_numbered_in_order():
     *_, packed, begins, flat = lm._stacked(texts, classes.packed())
     assert flat == [b"a", b"b", b"a", lm.END, lm.END, b"c", lm.END] and begins.tolist() == [0, 4, 5]
     assert packed.tolist() == [classes.packed()[w] for w in flat]
+
+
+def test_pairs_beyond_the_table_keep_their_weights(spark):
+    """Scores do not depend on how many pairs travel with the model: the others are joined, pairs seen once too."""
+    rng = np.random.default_rng(4)
+    texts = [" ".join(f"w{x}" for x in rng.zipf(1.3, 60) % 400) for _ in range(300)]
+    texts += [None, "", "w399", "w1 w1 w1", texts[0]]
+    docs = spark.createDataFrame([(i % 290, t) for i, t in enumerate(texts)], "doc_id int, text string").coalesce(1)
+    found = []
+    for most in (10**6, 50, 0):
+        model = language_model.train(docs, most_pairs=most)
+        assert (model["far"] is None) == (most == 10**6)
+        rows = language_model.score(docs, model).collect()
+        found.append(sorted((r["doc_id"], r["n_tokens"], round(r["base_score"], 6), round(r["score"], 3)) for r in rows))
+    assert len(found[0]) == len(texts) and found[0] == found[1] == found[2]
+    once = language_model.pair_weights(np.array([(1 << 25) | (12 << 20) | 1, (1 << 25) | (12 << 20) | 2]), np.array([1, 9]), np.array([0.0, 0.001, 0.1]), 1)[0]
+    assert len(once) == 2
