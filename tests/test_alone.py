@@ -8,7 +8,7 @@ from rareblock.plans import storage
 from rareblock.workloads import comparing
 
 
-@pytest.mark.parametrize("name,most", [("ablate_lsh_pages", 9), ("ablate_lsh_docs", 9)])
+@pytest.mark.parametrize("name,most", [("sensitivity_part", 10), ("ablate_lsh_pages", 9), ("ablate_lsh_docs", 9)])
 def test_settings_leave_a_row(spark, name, most):
     before = {path for _, path in storage._written}
     found = comparing.QUERIES[name](spark, SMALL)
